@@ -28,7 +28,6 @@ from .common import ascii_lower, cut, fresh
 SIZE = 10
 #: What lies between words, before lower-casing: ASCII other than letters and digits.
 _GAP = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
-_WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
 
 def raw_words(text: Column) -> Column:
@@ -41,7 +40,7 @@ def lower_words(text: Column) -> Column:
 
 
 def count_words(text: Column) -> Column:
-    return F.regexp_count(F.coalesce(text, F.lit("")), F.lit(_WORD)).cast("long")
+    return F.size(raw_words(text)).cast("long")
 
 
 def text_hash(text: Column) -> Column:
@@ -112,10 +111,11 @@ def phrase_matches(docs: DataFrame, items: DataFrame, candidates: DataFrame) ->
     wanted = candidates.join(items, "item").withColumnsRenamed({"doc_id": "c_doc", "text_hash": "c_hash", "words": "item_words"})
     texts = docs.select("doc_id", text_hash(F.col("text")).alias("text_hash"), "text")
     met = texts.join(wanted, F.col("doc_id").eqNullSafe(F.col("c_doc")) & (F.col("text_hash") == F.col("c_hash")))
-    met = met.withColumn("words", lower_words(F.col("text")))
+    # through a generator, so that the words are made once a row and not again for every window that is compared
+    met = met.select("doc_id", "text_hash", "item_id", "item_words", "diagonal", "windows", F.explode(F.array(lower_words(F.col("text")))).alias("words"))
     same = F.filter("windows", lambda w: F.slice("words", F.col("diagonal") + w["at"] + 1, w["length"]) == F.slice("item_words", w["at"] + 1, w["length"]))
     spans = F.transform(same, lambda w: F.struct((F.col("diagonal") + w["at"]).alias("start"), w["length"].alias("length")))
-    return met.select("doc_id", "text_hash", "item_id", spans.alias("spans")).filter(F.size("spans") > 0).distinct()
+    return met.select("doc_id", "text_hash", "item_id", F.explode(F.array(spans)).alias("spans")).filter(F.size("spans") > 0).distinct()
 
 
 def find_phrases(docs: DataFrame, benchmark: DataFrame, size: int = SIZE) -> DataFrame:
