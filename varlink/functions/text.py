@@ -21,7 +21,7 @@ def words(text: Column) -> Column:
 
 def strip_html(html: Column) -> Column:
     """Text of a page: scripts, styles, comments and tags replaced by blanks."""
-    out = F.regexp_replace(html, r"(?is)<(script|style)[^>]*>.*?</\1>", " ")
+    out = F.regexp_replace(F.regexp_replace(html, r"(?is)<script[^>]*>.*?</script>", " "), r"(?is)<style[^>]*>.*?</style>", " ")
     out = F.regexp_replace(out, r"(?s)<!--.*?-->", " ")
     return F.trim(F.regexp_replace(F.regexp_replace(out, r"(?s)<[^>]*>", " "), r"\s+", " "))
 
@@ -69,9 +69,17 @@ def jaro_winkler_text(a: str | None, b: str | None, scale: float = 0.1) -> float
     return jaro + (prefix * scale * (1 - jaro) if jaro >= 0.7 else 0.0)
 
 
-@F.pandas_udf("double")
-def jaro_winkler(a: pd.Series, b: pd.Series) -> pd.Series:
-    return pd.Series([jaro_winkler_text(x, y) for x, y in zip(a, b, strict=True)], dtype="float64")
+def jaro_winkler_udf():
+    """The similarity as an Arrow function; made when used, since that needs a session."""
+
+    def run(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([jaro_winkler_text(x, y) for x, y in zip(a, b, strict=True)], dtype="float64")
+
+    return F.pandas_udf(run, "double")
+
+
+def jaro_winkler(a: Column | str, b: Column | str) -> Column:
+    return jaro_winkler_udf()(a, b)
 
 
 # ------------------------------------------------------------------ hashed word vectors

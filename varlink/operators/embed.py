@@ -10,6 +10,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -136,9 +137,7 @@ def merge_states_wide(states: DataFrame) -> DataFrame:
     A group has one row per partition of the scan, each one vector.
     """
 
-    def add(key, frame):
-        import pandas as pd
-
+    def add(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame({"dataset_id": [key[0]], "sum_h": [np.sum(np.stack(list(frame["sum_h"])), axis=0).tolist()], "sum_g": [frame["sum_g"].sum()], "sum_sq": [frame["sum_sq"].sum()], "n": [frame["n"].sum()]})
 
     return states.groupBy("dataset_id").applyInPandas(add, _STATE)
