@@ -60,7 +60,8 @@ def mark_lines(docs: DataFrame, min_key: int = MIN_KEY, min_docs: int = MIN_DOCS
     keep = docs.columns if keep is None else keep
     own, gone, *added = fresh(docs, "doc", "gone", "n_lines", "n_dropped", "kept_text")
     pairs = cut(line_pairs(docs, min_key), "line-pairs")
-    over = over_threshold(pairs, min_docs)
+    # a table of its own, so that the join has a plain exchange on either side and Spark can split a hot line's rows
+    over = cut(over_threshold(pairs, min_docs), "line-over")
     drops = pairs.join(over, "line_hash").filter(F.col("doc_id") != F.col("keeper")).groupBy(F.col("doc_id").alias(own)).agg(F.collect_list("line_hash").alias(gone))
     carried = list(dict.fromkeys([*keep, "text"]))
     joined = docs.join(drops, F.col("doc_id") == F.col(own), "left").select(*[F.col(f"`{c}`") for c in carried], gone)
