@@ -18,6 +18,8 @@ a component (one made of such rows only has a null id); an empty table gives an
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import xxhash
 from pyspark.sql import DataFrame
@@ -27,6 +29,7 @@ from pyspark.sql import types as T
 from .common import cut, drop_cut, fresh, map_texts
 
 SHINGLE, RADIUS, SEED, BUCKET_LIMIT = 3, 2, 42, 24
+FINGERPRINTS_PER_TASK = 100_000
 _HALF = 32
 
 
@@ -91,6 +94,9 @@ def find_links(prints: DataFrame, bucket_limit: int = BUCKET_LIMIT, radius: int
     if radius != 2:
         raise ValueError("two segments and one wildcard cover a radius of 2")
     key = ["segment", "wild", "rest"]
+    # every fingerprint becomes 64 rows, so they are dealt out first, at most so many to a task
+    slots = max(int(prints.sparkSession.conf.get("spark.sql.shuffle.partitions")), math.ceil(prints.count() / FINGERPRINTS_PER_TASK))
+    prints = prints.repartition(slots, "fp")
     variants = segment_variants(prints)
     # Only variants with company are kept: one sort of numbers, and no group of them is ever gathered.
     sizes = cut(variants.groupBy(*key).agg(F.count("*").alias("n")).filter("n > 1"), "simhash-variants")
