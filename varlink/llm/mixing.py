@@ -115,14 +115,15 @@ def cut_keys(rows: DataFrame, budgets: DataFrame, targets: MixTargets = TARGETS)
     """
     leaf = list(LEVELS)
     sizes = rows.groupBy(*leaf).agg(F.ceil(F.count("*") / targets.bucket_rows).alias("buckets"))
-    part = budgets.filter("rest > 0").select(*leaf, "epochs", "rest").join(sizes, leaf)
+    # tables of one row a leaf, written so that their size is known before the rows are joined to them
+    part = cut(budgets.filter("rest > 0").select(*leaf, "epochs", "rest").join(sizes, leaf), "mix-partial")
     keyed = rows.filter("n_tokens > 0").join(part, leaf).withColumn("key", order_key(targets.seed, F.col("epochs"), F.col("doc_id"), F.col("digest")))
     keyed = keyed.withColumn("bucket", F.shiftright(F.shiftright("key", 30) * F.col("buckets"), 30))
     sums = keyed.groupBy(*leaf, "bucket", "rest").agg(F.sum("n_tokens").alias("n"))
     upto = Window.partitionBy(*leaf).orderBy("bucket").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     ends = sums.withColumn("through", F.sum("n").over(upto)).withColumn("before", F.col("through") - F.col("n")).filter("before < rest")
     # all buckets but the last of these fit whole; the last one is searched
-    last = ends.groupBy(*leaf).agg(F.max("bucket").alias("bucket"), F.max("before").alias("before"))
+    last = cut(ends.groupBy(*leaf).agg(F.max("bucket").alias("bucket"), F.max("before").alias("before")), "mix-last")
     inside = keyed.join(last, [*leaf, "bucket"]).groupBy(*leaf, "bucket", "before", "rest", "key").agg(F.sum("n_tokens").alias("n"))
     run = Window.partitionBy(*leaf, "bucket").orderBy("key").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     fits = inside.withColumn("through", F.col("before") + F.sum("n").over(run)).filter("through <= rest").groupBy(*leaf).agg(F.max("key").alias("inner"))
