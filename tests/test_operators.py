@@ -402,3 +402,23 @@ def test_maps():
     near = np.mean([d(i, j) for i, j in combinations(range(15), 2)])
     assert near < np.mean([d(i, j) for i in range(15) for j in range(15, 30)])
     assert S.pca(x, 2).shape == (30, 2)
+
+
+def test_word_vectors(spark, sf_dir):
+    from varlink.operators import words as WV
+
+    t = tables.load_table(spark, sf_dir, "documents").select(F.lit("d").alias("dataset_id"), F.col("text").alias("value_str"))
+    v = WV.fit_word_vectors(t, 8).cache()
+    d = WV.vector_dictionary(v)
+    assert len(d) > 100 and all(len(x) == 8 for x in d.values())
+    with pytest.raises(ValueError):
+        WV.vector_dictionary(v, 3)
+    some = sorted(d)[:2]
+    f = spark.createDataFrame([("a", " ".join(some) + " qqqqqq"), ("a", "42")], "dataset_id string, value_str string")
+    got = sorted(([r["vec"] for r in WV.field_word_vectors(f, v, 8).collect()]), key=lambda x: sum(abs(y) for y in x))
+    assert got[0] == [0.0] * 8 and np.allclose(got[1], (d[some[0]] + d[some[1]]) / 2) and np.allclose(WordEncoder(d).one(" ".join(some) + " qqqqqq"), got[1])
+
+
+def test_approx_stats(spark):
+    r = {x["dataset_id"]: x for x in C.approx_stats(cv_of(spark, {"a": [1, 1, 2, 3] * 50, "b": range(3000)})).collect()}
+    assert r["a"]["by_distinct"] and not r["b"]["by_distinct"] and r["a"]["n"] == 200 and abs(r["b"]["quartiles"][1] - 1500) < 60

@@ -52,6 +52,8 @@ def test_sql_functions(spark):
     spark.createDataFrame([("a", [0.0]), ("b", [3.0]), ("c", [1.0])], "dataset_id string, s array<double>").createOrReplaceTempView("v3")
     got = spark.sql("SELECT * FROM top_matches(TABLE(v3) WITH SINGLE PARTITION, array(0.9D), 2)").collect()
     assert [(r["dataset_id"], r["rank"]) for r in got] == [("c", 1), ("a", 2)]
+    spark.createDataFrame([("a", "x", 0.9), ("a", "y", 0.8), ("b", "x", 0.8), ("b", "y", 0.1)], "col_a string, col_b string, p double").createOrReplaceTempView("m4")
+    assert sorted(r[:2] for r in spark.sql("SELECT * FROM align_columns(TABLE(m4) WITH SINGLE PARTITION)").collect()) == [("a", "y"), ("b", "x")]
 
 
 SMALL = workloads.Workload(values=40, train_datasets=400, hidden=24, width=12, word_width=16, units=6, per_class=60, queries=8, fractions=(1.0,), train=workloads.TrainConfig(step=3e-3, batch=16, steps_per_epoch=20, epochs=5, values=24))

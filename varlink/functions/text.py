@@ -11,7 +11,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 #: Labels too generic to say which variable a column holds.
-VAGUE_LABELS = ("name", "id", "key", "value", "type", "code", "text", "date", "number", "comment", "description", "index", "label", "data", "field", "column")
+VAGUE_LABELS = ("attribute", "variable", "name", "id", "key", "value", "type", "code", "text", "date", "number", "comment", "description", "index", "label", "data", "field", "column")
 
 
 def words(text: Column) -> Column:

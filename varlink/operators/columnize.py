@@ -26,8 +26,8 @@ def as_numeric(df: DataFrame, name: str) -> Column | None:
         return c.cast("double")
     if isinstance(kind, T.DateType):
         return F.datediff(c, F.lit("1970-01-01").cast("date")).cast("double")
-    if isinstance(kind, T.TimestampType):
-        return F.unix_seconds(c).cast("double")
+    if isinstance(kind, (T.TimestampType, T.TimestampNTZType)):
+        return F.unix_seconds(c.cast("timestamp")).cast("double")
     if isinstance(kind, T.DayTimeIntervalType):
         return (F.lit("1970-01-01 00:00:00").cast("timestamp") + c).cast("double")
     return None

@@ -100,6 +100,13 @@ def mean_sd(spark, sf_dir):
     return _d(B.mean_sd_distance(cv, all_pairs(cv)))
 
 
+@query("q20b_approx_stats")
+def approx_stats(spark, sf_dir):
+    """Sketched counts and quartiles, and whether a dataset is pooled by distinct values."""
+    a = C.approx_stats(repository_values(spark, sf_dir))
+    return a.select("dataset_id", "n", "n_distinct", F.col("quartiles")[1].alias("median"), "by_distinct")
+
+
 _KS_E = "(n1 * n2 / (n1 + n2))"
 _LAM = f"((sqrt({_KS_E}) + 0.12 + 0.11 / sqrt({_KS_E})) * gap)"
 _SMALL_HIST = "hist AS (SELECT dataset_id, value_num AS v, count(*)::DOUBLE AS w FROM cv GROUP BY ALL), ids AS (SELECT DISTINCT dataset_id FROM hist), pairs AS (SELECT a.dataset_id AS id_a, b.dataset_id AS id_b FROM ids a JOIN ids b ON a.dataset_id < b.dataset_id)"

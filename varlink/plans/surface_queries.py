@@ -37,8 +37,8 @@ def column_probabilities(spark, sf_dir) -> DataFrame:
 def _greedy_sql(steps: int = 3) -> str:
     out = ", c0 AS (SELECT * FROM pr WHERE starts_with(ta, 'lineitem:') AND starts_with(tb, 'lineitem:') AND ta < tb)"
     for k in range(1, steps + 1):
-        out += f", g{k} AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY ta, tb ORDER BY p DESC, col_a, col_b) AS r FROM c{k - 1}) WHERE r = 1), c{k} AS (SELECT c.* FROM c{k - 1} c JOIN g{k} g USING (ta, tb) WHERE c.col_a <> g.col_a AND c.col_b <> g.col_b)"
-    return out + " " + " UNION ALL ".join(f"SELECT ta, tb, col_a, col_b, p FROM g{k}" for k in range(1, steps + 1))
+        out += f", pick{k} AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY ta, tb ORDER BY p DESC, col_a, col_b) AS r FROM c{k - 1}) WHERE r = 1), c{k} AS (SELECT c.* FROM c{k - 1} c JOIN pick{k} g USING (ta, tb) WHERE c.col_a <> g.col_a AND c.col_b <> g.col_b)"
+    return out + " " + " UNION ALL ".join(f"SELECT ta, tb, col_a, col_b, p FROM pick{k}" for k in range(1, steps + 1))
 
 
 @query("q40_alignment", _prob_sql(_greedy_sql()))

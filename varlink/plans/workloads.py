@@ -27,6 +27,7 @@ from ..operators import search as X
 from ..operators import statistics as S
 from ..operators import truth as G
 from ..operators.embed import NumericEncoder, StringEncoder, WordEncoder, embed_datasets, query_vectors
+from ..sources.scratch import cut
 from ..sources.tables import load_table
 from .registry import query
 from .repository import FINE, LANGUAGE, STRINGS, apply_unit_shift, flag_datasets, repository_values, truth_of
@@ -36,9 +37,9 @@ from .repository import FINE, LANGUAGE, STRINGS, apply_unit_shift, flag_datasets
 class Workload:
     """Sizes of a run. The defaults suit one machine; the published sizes are ``paper_sizes()``."""
 
-    values: int = 200
+    values: int = 128
     train_datasets: int = 2500
-    hidden: int = 64
+    hidden: int = 48
     width: int = 32
     word_width: int = 64
     units: int = 16
@@ -52,7 +53,7 @@ class Workload:
     form: str = "bits"
     use_g: bool = True
     seed: int = 42
-    train: TrainConfig = field(default_factory=lambda: TrainConfig(batch=24, steps_per_epoch=40, epochs=10, values=48))
+    train: TrainConfig = field(default_factory=lambda: TrainConfig(step=2e-3, batch=24, steps_per_epoch=30, epochs=8, values=32))
 
     def __hash__(self) -> int:
         return hash(repr(self))
@@ -86,7 +87,7 @@ def value_column(kind: str) -> str:
 
 
 def prepare(spark: SparkSession, sf_dir: str, kind: str, cfg: Workload) -> tuple[DataFrame, DataFrame]:
-    """``cv`` (sub-sampled values of all datasets) and ``truth`` with roles; both cached."""
+    """``cv`` (sub-sampled values of all datasets) and ``truth`` with roles, both as written tables."""
 
     def make():
         cv = repository_values(spark, sf_dir, _FAMILIES[kind])
@@ -94,9 +95,9 @@ def prepare(spark: SparkSession, sf_dir: str, kind: str, cfg: Workload) -> tuple
             cv = apply_unit_shift(cv, share=cfg.shift)
             if cfg.flags:
                 cv = cv.unionByName(flag_datasets(spark, sf_dir, cfg.flags))
-        sample = C.subsample(cv, cfg.values, cfg.seed).drop("priority").cache()
+        sample = cut(C.subsample(cv, cfg.values, cfg.seed).drop("priority"), "workload-values")
         t = truth_of(sample)
-        return sample, t.join(G.assign_roles(t, cfg.heldout, cfg.seed), "table_id").cache()
+        return sample, cut(t.join(G.assign_roles(t, cfg.heldout, cfg.seed), "table_id"), "workload-truth")
 
     return _keep((_app(spark), sf_dir, kind, cfg.values, cfg.shift, cfg.flags, cfg.heldout, cfg.seed), make)
 
@@ -137,7 +138,7 @@ def model_of(spark: SparkSession, sf_dir: str, kind: str, cfg: Workload):
 def vectors_of(cv: DataFrame, kind: str, net, cfg: Workload) -> DataFrame:
     value = value_column(kind)
     hist = C.value_histogram(cv.filter(F.col(value).isNotNull()), value=value)
-    return embed_datasets(hist, net, encoder_of(kind, cfg), kind)
+    return cut(embed_datasets(hist, net, encoder_of(kind, cfg), kind), "workload-vectors")
 
 
 def score_pairs(vectors: DataFrame, pairs: DataFrame, method: str = "embedding", with_g: bool = True) -> DataFrame:
@@ -146,7 +147,7 @@ def score_pairs(vectors: DataFrame, pairs: DataFrame, method: str = "embedding",
 
 
 def baseline_scores(cv: DataFrame, pairs: DataFrame, kind: str, cfg: Workload) -> DataFrame:
-    packed = B.pack(cv, value_column(kind), cfg.values).cache()
+    packed = cut(B.pack(cv, value_column(kind), cfg.values), "workload-packed")
     if kind == "numeric":
         parts = [B.mean_sd_packed(packed, pairs), B.ks_packed(packed, pairs), B.mmd_linear(packed, pairs), B.smooth_cf_distance(packed, pairs)]
     else:
@@ -181,7 +182,7 @@ def run_pair_classification(spark, sf_dir, kind: str = "numeric", setting: str =
     """``setting, kind, fraction, method, auc``."""
     net, _ = model_of(spark, sf_dir, kind, cfg)
     values, pairs = eval_pairs(spark, sf_dir, kind, setting, cfg)
-    pairs, out = pairs.cache(), None
+    pairs, out = cut(pairs, "workload-pairs"), None
     for f in cfg.fractions:
         part = C.downsample_fraction(values, f, cfg.seed + 1) if f < 1 else values
         scored = score_pairs(vectors_of(part, kind, net, cfg), pairs).unionByName(baseline_scores(part, pairs, kind, cfg))
@@ -197,7 +198,7 @@ def run_input_ablation(spark, sf_dir, cfg: Workload = Workload()) -> DataFrame:
     out = None
     for flags in (0, 12):
         for variant, change in (("raw", {"form": "raw"}), ("exp_mantissa", {"form": "exp_mantissa"}), ("bits", {}), ("bits_no_g", {"use_g": False})):
-            c = replace(cfg, flags=flags, train=replace(cfg.train, epochs=6), **change)
+            c = replace(cfg, flags=flags, train=replace(cfg.train, epochs=4), **change)
             net, _ = model_of(spark, sf_dir, "numeric", c)
             for setting in ("split", "diff"):
                 values, pairs = eval_pairs(spark, sf_dir, "numeric", setting, c)
@@ -220,11 +221,13 @@ def retrieval_sides(spark, sf_dir, kind, setting, cfg) -> tuple[DataFrame, DataF
     r = truth.filter("role = 'R'")
     pick = lambda t: t.orderBy(priority_bits(cfg.seed + 2, F.col("dataset_id")), "dataset_id").limit(cfg.queries)
     if setting == "split":
-        ids = pick(r.filter("n_values >= 4")).select("dataset_id").cache()
-        carved = G.carve_halves(cv.join(F.broadcast(r.select("dataset_id")), "dataset_id"), ids, cfg.seed + 3).cache()
+        ids = pick(r.filter("n_values >= 4")).select("dataset_id")
+        ids = cut(ids, "workload-ids")
+        carved = G.carve_halves(cv.join(F.broadcast(r.select("dataset_id")), "dataset_id"), ids, cfg.seed + 3)
+        carved = cut(carved, "workload-carved")
         queries = carved.filter("role = 'S'")
         return carved.filter("role = 'R'").drop("role", "source_id"), queries.drop("role", "source_id"), queries.select(F.col("dataset_id").alias("query_id"), F.col("source_id").alias("dataset_id")).distinct()
-    ids = pick(truth.filter("role = 'T'").join(r.select("variable").distinct(), "variable", "left_semi")).cache()
+    ids = cut(pick(truth.filter("role = 'T'").join(r.select("variable").distinct(), "variable", "left_semi")), "workload-ids")
     true = ids.select(F.col("dataset_id").alias("query_id"), "variable").join(r.select("dataset_id", "variable"), "variable").select("query_id", "dataset_id")
     return cv.join(F.broadcast(r.select("dataset_id")), "dataset_id"), cv.join(F.broadcast(ids.select("dataset_id")), "dataset_id"), true
 
@@ -258,13 +261,13 @@ def run_calibrated_recall(spark, sf_dir, kind: str = "numeric", cfg: Workload =
     net, _ = model_of(spark, sf_dir, kind, cfg)
     cv, truth = prepare(spark, sf_dir, kind, cfg)
     r = truth.filter("role = 'R'").filter(~F.col("variable").isin(*absent))
-    pick = lambda t: t.orderBy(priority_bits(cfg.seed + 4, F.col("dataset_id")), "dataset_id").limit(cfg.queries).select("dataset_id", "variable").cache()
+    pick = lambda t: cut(t.orderBy(priority_bits(cfg.seed + 4, F.col("dataset_id")), "dataset_id").limit(cfg.queries).select("dataset_id", "variable"), "workload-ids")
     none, some = pick(truth.filter(F.col("variable").isin(*absent))), pick(truth.filter("role = 'T'").join(r.select("variable").distinct(), "variable", "left_semi"))
     repo = cv.join(F.broadcast(r.select("dataset_id")), "dataset_id")
     queries = cv.join(F.broadcast(none.union(some).select("dataset_id")), "dataset_id")
     ids = none.union(some).select(F.col("dataset_id").alias("id_a"))
     pairs = ids.crossJoin(r.select(F.col("dataset_id").alias("id_b")))
-    emb = score_pairs(vectors_of(repo.unionByName(queries), kind, net, cfg).cache(), pairs).select("method", F.col("id_a").alias("query_id"), F.col("id_b").alias("dataset_id"), "d")
+    emb = score_pairs(vectors_of(repo.unionByName(queries), kind, net, cfg), pairs).select("method", F.col("id_a").alias("query_id"), F.col("id_b").alias("dataset_id"), "d")
     s = emb.unionByName(_baseline_ranks(repo, queries, kind, cfg, None)).withColumn("p", -F.col("d"))  # any monotone map of d will do
     true = some.select(F.col("dataset_id").alias("query_id"), "variable").join(r.select("dataset_id", "variable"), "variable")
     out = M.calibrated_recall(s.join(true, ["query_id", "dataset_id"]), s.join(F.broadcast(none.select(F.col("dataset_id").alias("query_id"))), "query_id"), ["method"])
@@ -293,10 +296,10 @@ def run_lookalike_flags(spark, sf_dir, cfg: Workload = Workload(), flags: int =
     others."""
     out = None
     for use_g in (True, False):
-        c = replace(cfg, flags=flags, use_g=use_g, train=replace(cfg.train, epochs=6))
+        c = replace(cfg, flags=flags, use_g=use_g, train=replace(cfg.train, epochs=4))
         net, _ = model_of(spark, sf_dir, "numeric", c)
         cv, truth = prepare(spark, sf_dir, "numeric", c)
-        v = vectors_of(cv, "numeric", net, c).cache()
+        v = vectors_of(cv, "numeric", net, c)
         group = F.when(F.col("variable").startswith("flag"), "flags").otherwise("others")
         g = v.join(truth.select("dataset_id", group.alias("group")), "dataset_id").groupBy("group").agg(F.count("*").alias("datasets"), F.avg("g").alias("mean_g"))
         pairs = None
@@ -343,18 +346,19 @@ def run_schema_matching(spark, sf_dir, cfg: Workload = Workload(), regions: int
     wide = state_tables(spark, sf_dir).filter(F.col("r_regionkey") < regions)
     key = [F.col(c) for c in ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")]
     long = C.columnize(wide.select(*SCHEMA, "l_orderkey", "r_name"), F.col("r_name"), list(SCHEMA), key)
-    cv = C.subsample(long.withColumn("kind", F.when(F.col("value_num").isNotNull(), "numeric").otherwise("language")), cfg.values, cfg.seed).cache()
+    cv = cut(C.subsample(long.withColumn("kind", F.when(F.col("value_num").isNotNull(), "numeric").otherwise("language")), cfg.values, cfg.seed), "workload-schema")
     text = F.coalesce(F.col("value_str"), F.col("value_num").cast("string"))
     nets = {k: model_of(spark, sf_dir, k, cfg)[0] for k in ("numeric", "language")}
-    vec = vectors_of(cv.filter("kind = 'numeric'"), "numeric", nets["numeric"], cfg).unionByName(vectors_of(cv.filter("kind = 'language'"), "language", nets["language"], cfg)).cache()
-    names = cv.select("dataset_id", "table_id", "column", "kind").distinct().cache()
+    vec = vectors_of(cv.filter("kind = 'numeric'"), "numeric", nets["numeric"], cfg).unionByName(vectors_of(cv.filter("kind = 'language'"), "language", nets["language"], cfg))
+    names = cv.select("dataset_id", "table_id", "column", "kind").distinct()
     side = lambda k: names.select(F.col("dataset_id").alias(f"id_{k}"), F.col("table_id").alias(f"t_{k}"), F.col("column").alias(f"c_{k}"), "kind")
-    pairs = side("a").join(side("b"), "kind").filter("t_a < t_b").withColumn("pair", F.concat_ws("~", "t_a", "t_b")).cache()
+    pairs = side("a").join(side("b"), "kind").filter("t_a < t_b").withColumn("pair", F.concat_ws("~", "t_a", "t_b"))
+    pairs = cut(pairs, "workload-pairs")
     hist = C.value_histogram(cv.withColumn("value_str", text), value="value_str")
     scored = score_pairs(vec, pairs).unionByName(B.likelihood_similarity(hist, pairs, "value_str")).unionByName(B.probability_vector_distance(hist, pairs, "value_str"))
     # exp(-d) is a probability for the embedder, and a monotone similarity for the others
     m = scored.join(pairs, ["id_a", "id_b"]).select(F.concat_ws("@", "method", "pair").alias("group_id"), F.col("id_a").alias("col_a"), F.col("id_b").alias("col_b"), F.exp(-F.col("d")).alias("p"))
-    aligned = A.align_schemas(m, "two_opt")
+    aligned = cut(A.align_schemas(m, "two_opt"), "workload-aligned")
     right = pairs.filter("c_a = c_b").select(F.col("id_a").alias("col_a"), F.col("id_b").alias("col_b"))
     out = M.alignment_precision(aligned, right.join(aligned.select("group_id", "col_a", "col_b"), ["col_a", "col_b"]), ["group_id"])
     return out.select(F.split("group_id", "@")[1].alias("pair"), F.split("group_id", "@")[0].alias("method"), F.round("precision", 4).alias("precision"), "aligned")
@@ -365,24 +369,27 @@ def run_union_search(spark, sf_dir, cfg: Workload = Workload(), ks: tuple[int, .
     net, _ = model_of(spark, sf_dir, "numeric", cfg)
     cv, truth = prepare(spark, sf_dir, "numeric", cfg)
     # a seeded quarter of the columns of every table is dropped, so that tables are partly unionable
-    part = truth.filter(priority(cfg.seed + 6, F.col("dataset_id")) >= 0.25).cache()
-    q = part.filter("role = 'T'").select("table_id").distinct().orderBy(priority_bits(cfg.seed + 7, F.col("table_id")), "table_id").limit(n_queries).cache()
-    v = vectors_of(cv.join(F.broadcast(part.select("dataset_id")), "dataset_id"), "numeric", net, cfg).join(part.select("dataset_id", "table_id", "role"), "dataset_id").cache()
+    part = truth.filter(priority(cfg.seed + 6, F.col("dataset_id")) >= 0.25)
+    q = part.filter("role = 'T'").select("table_id").distinct().orderBy(priority_bits(cfg.seed + 7, F.col("table_id")), "table_id").limit(n_queries)
+    q = cut(q, "workload-queries")
+    v = vectors_of(cv.join(F.broadcast(part.select("dataset_id")), "dataset_id"), "numeric", net, cfg).join(part.select("dataset_id", "table_id", "role"), "dataset_id")
+    v = cut(v, "workload-union")
     queries, repo = v.join(F.broadcast(q), "table_id"), v.filter("role = 'R'")
     near = X.top_k_exact(query_vectors(queries.drop("table_id", "role")), repo, 50)
     tables = near.join(v.select(F.col("dataset_id").alias("query_id"), F.col("table_id").alias("query_table")), "query_id").join(repo.select("dataset_id", "table_id"), "dataset_id")
-    cand = tables.select("query_table", "table_id").distinct().cache()
-    cols = cand.join(v.select(F.col("table_id").alias("query_table"), F.col("dataset_id").alias("id_a")), "query_table").join(v.select("table_id", F.col("dataset_id").alias("id_b")), "table_id").cache()
+    cand = cut(tables.select("query_table", "table_id").distinct(), "workload-candidates")
+    cols = cand.join(v.select(F.col("table_id").alias("query_table"), F.col("dataset_id").alias("id_a")), "query_table").join(v.select("table_id", F.col("dataset_id").alias("id_b")), "table_id")
+    cols = cut(cols, "workload-columns")
     emb = score_pairs(v, cols.select("id_a", "id_b").distinct())
-    packed = B.pack(cv, n=cfg.values).cache()
-    some = cols.select("id_a", "id_b").distinct().cache()
-    base = [B.jaccard_packed(packed, some), B.ks_packed(packed, some)]
+    packed = cut(B.pack(cv, n=cfg.values), "workload-packed")
+    some = cols.select("id_a", "id_b").distinct().repartition(spark_slots(cv))
+    base = [cut(f(packed, some), "workload-scores") for f in (B.jaccard_packed, B.ks_packed)]
     ens = B.ensemble_similarity(base, base)
     out, family = None, lambda c: F.split(c, ":")[0]
     want = q.select(F.col("table_id").alias("query_id")).crossJoin(part.filter("role = 'R'").select(F.col("table_id").alias("dataset_id")).distinct()).filter(family(F.col("query_id")) == family(F.col("dataset_id")))
     for name, s in (("embedding", emb), ("ensemble", ens)):
         p = cols.join(s, ["id_a", "id_b"]).select("query_table", "table_id", F.col("id_a").alias("col_a"), F.col("id_b").alias("col_b"), F.exp(-F.col("d")).alias("p"))
-        r = A.union_search(p, max(ks)).select(F.col("query_table").alias("query_id"), F.col("table_id").alias("dataset_id"), "rank")
+        r = cut(A.union_search(p, max(ks)), "workload-ranked").select(F.col("query_table").alias("query_id"), F.col("table_id").alias("dataset_id"), "rank")
         one = M.precision_recall_at_k(r, want, ks).select(F.lit(name).alias("method"), "k", F.round("precision", 4).alias("precision"), F.round("recall", 4).alias("recall"))
         out = one if out is None else out.unionByName(one)
     return out
@@ -406,9 +413,9 @@ def run_repository_summary(spark, sf_dir, cfg: Workload = Workload()) -> DataFra
 
 def run_deviation(spark, sf_dir, cfg: Workload = Workload()) -> DataFrame:
     """Sampled against whole distances of the label bags of unit vectors: ``n, eps, rate, bound, draws``."""
-    e = load_table(spark, sf_dir, "embeddings").filter("label < 4").select(F.col("label").cast("string").alias("dataset_id"), F.col("vec_id").cast("string").alias("row_key"), F.col("embedding").cast("array<double>").alias("vec")).cache()
+    e = load_table(spark, sf_dir, "embeddings").filter("label < 4").select(F.col("label").cast("string").alias("dataset_id"), F.col("vec_id").cast("string").alias("row_key"), F.col("embedding").cast("array<double>").alias("vec"))
     ids = e.select("dataset_id").distinct()
-    pairs, out = ids.withColumnRenamed("dataset_id", "id_a").join(ids.withColumnRenamed("dataset_id", "id_b"), F.col("id_a") < F.col("id_b")).cache(), None
+    pairs, out = ids.withColumnRenamed("dataset_id", "id_a").join(ids.withColumnRenamed("dataset_id", "id_b"), F.col("id_a") < F.col("id_b")), None
     for n in (10, 20, 40):
         one = M.empirical_deviation(e, pairs, n, 0.2, 40)
         out = one if out is None else out.unionByName(one)
@@ -419,13 +426,13 @@ def run_objectives(spark, sf_dir, cfg: Workload = Workload(), seeds: tuple[int,
     """Other losses and samplers: ``objective, sampler, auc, auc_sd, seconds, gradient_sd``."""
     rows = []
     values, pairs = eval_pairs(spark, sf_dir, "numeric", "diff", cfg)
-    pairs = pairs.cache()
+    pairs = cut(pairs, "workload-pairs")
     data = packed_for_training(spark, sf_dir, "numeric", cfg)
     for objective, sampler in (("xent", "uniform"), ("triplet", "semihard"), ("contrastive", "uniform"), ("margin", "distance_weighted"), ("xent", "semihard")):
         aucs, seconds, noise = [], 0.0, []
         for seed in seeds:
             net = network_of("numeric", replace(cfg, seed=seed))
-            h = train(net, data, replace(cfg.train, objective=objective, sampler=sampler, seed=seed, epochs=4))
+            h = train(net, data, replace(cfg.train, objective=objective, sampler=sampler, seed=seed, epochs=3))
             seconds += h.seconds
             noise.append(np.std(h.gradient_norm) / (np.mean(h.gradient_norm) or 1))
             aucs.append(M.roc_auc(score_pairs(vectors_of(values, "numeric", net, cfg), pairs).join(pairs, ["id_a", "id_b"])).first()["auc"] or 0.5)
@@ -461,14 +468,14 @@ def run_search_cost(spark, sf_dir, copies: int = 20, cfg: Workload = Workload())
 def run_scarcity(spark, sf_dir, cfg: Workload = Workload()) -> DataFrame:
     """With and without split augmentation, as annotated matches get scarce: ``augmentation, match_share, auc``."""
     values, pairs = eval_pairs(spark, sf_dir, "numeric", "diff", cfg)
-    pairs, data, rows = pairs.cache(), packed_for_training(spark, sf_dir, "numeric", cfg), []
+    pairs, data, rows = cut(pairs, "workload-pairs"), packed_for_training(spark, sf_dir, "numeric", cfg), []
     rng = np.random.default_rng(cfg.seed)
     u = rng.random(len(data.ids))
     for share in (1.0, 0.1):
         known = Packed(data.ids, data.inputs, [v if x < share else None for v, x in zip(data.variable, u, strict=True)], data.table)
         for augment in (0.0, 0.5):
             net = network_of("numeric", cfg)
-            train(net, known, replace(cfg.train, augment=augment, epochs=5))
+            train(net, known, replace(cfg.train, augment=augment, epochs=3))
             auc = M.roc_auc(score_pairs(vectors_of(values, "numeric", net, cfg), pairs).join(pairs, ["id_a", "id_b"])).first()["auc"]
             rows.append((augment, share, round(auc or 0.5, 4)))
     return spark.createDataFrame(rows, "augmentation double, match_share double, auc double")

@@ -21,11 +21,16 @@ def moment_features(value: Column) -> list[Column]:
     return [F.tanh(value / s) for s in (1.0, 10.0, 100.0, 1000.0)]
 
 
+def watermarked(events: DataFrame, delay: str, ts: str = "ts") -> DataFrame:
+    """``events`` with a watermark; times without zone are taken in the session's zone, as watermarks need instants."""
+    return events.withColumn(ts, F.col(ts).cast("timestamp")).withWatermark(ts, delay)
+
+
 def stream_states(events: DataFrame, window: str = "1 day", delay: str | None = None, key: str = "event_type", value: str = "value", ts: str = "ts", slide: str | None = None) -> DataFrame:
     """``dataset_id, start, n, sum_h``: the state of every (key, window) dataset. With ``delay``, a watermark drops rows
     later than that."""
     if delay and events.isStreaming:
-        events = events.withWatermark(ts, delay)
+        events = watermarked(events, delay, ts)
     w = F.window(ts, window, slide) if slide else F.window(ts, window)
     g = events.filter(F.col(value).isNotNull()).groupBy(w.alias("w"), F.col(key).alias("dataset_id")).agg(F.count("*").alias("n"), F.array(*[F.sum(f) for f in moment_features(F.col(value))]).alias("sum_h"), F.sum(value).alias("total"))
     return g.select("dataset_id", F.col("w.start").alias("start"), "n", "sum_h", "total")
@@ -50,14 +55,14 @@ def stream_drift(events: DataFrame, stored: DataFrame, size: str = "2 days", sli
 def stream_sessions(events: DataFrame, gap: str = "30 minutes", delay: str | None = None) -> DataFrame:
     """Sessions of a user as datasets: ``user_id, start, n, mean_value``."""
     if delay and events.isStreaming:
-        events = events.withWatermark("ts", delay)
+        events = watermarked(events, delay)
     g = events.groupBy("user_id", F.session_window("ts", gap).alias("s")).agg(F.count("*").alias("n"), F.avg("value").alias("mean_value"))
     return g.select("user_id", F.col("s.start").alias("start"), "n", "mean_value")
 
 
 def dedup(events: DataFrame, delay: str = "1 hour", key: str = "event_id", ts: str = "ts") -> DataFrame:
     """Repeats of a key dropped: within the watermark on streams, over all rows on batches."""
-    return events.withWatermark(ts, delay).dropDuplicatesWithinWatermark([key]) if events.isStreaming else events.dropDuplicates([key])
+    return watermarked(events, delay, ts).dropDuplicatesWithinWatermark([key]) if events.isStreaming else events.dropDuplicates([key])
 
 
 def stream_match(states: DataFrame, repository: DataFrame, tau: float = 0.5) -> DataFrame:
@@ -70,7 +75,7 @@ def stream_match(states: DataFrame, repository: DataFrame, tau: float = 0.5) ->
 def stream_interval_join(left: DataFrame, right: DataFrame, within: str = "1 hour", delay: str = "2 hours") -> DataFrame:
     """Each row of ``left`` with rows of ``right`` of the same user up to ``within`` later; both sides watermarked."""
     if left.isStreaming:
-        left, right = left.withWatermark("ts", delay), right.withWatermark("ts", delay)
+        left, right = watermarked(left, delay), watermarked(right, delay)
     a = left.select("user_id", F.col("event_id").alias("left_id"), F.col("ts").alias("left_ts"))
     b = right.select(F.col("user_id").alias("right_user"), F.col("event_id").alias("right_id"), F.col("ts").alias("right_ts"), "value")
     on = (F.col("user_id") == F.col("right_user")) & (F.col("right_ts") >= F.col("left_ts")) & (F.col("right_ts") <= F.col("left_ts") + F.expr(f"INTERVAL {within}"))
