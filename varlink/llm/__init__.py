@@ -1,4 +1,4 @@
 """Training-data operators: ten corpus operators, their queries and their reference SQL.
 
-Nothing outside this subpackage imports it; it imports nothing else of the library.
+Nothing outside this subpackage imports it.
 """

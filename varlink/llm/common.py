@@ -2,9 +2,6 @@
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -13,12 +10,14 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..sources.scratch import cut, drop_cut, new_path, remove, shared_root
+
 #: ASCII white space, as a regular-expression class body: space, TAB, LF, VT, FF, CR.
 ASCII_SPACE = r"\x20\x09-\x0D"
 #: The same characters, for trimming.
 ASCII_SPACE_CHARS = " \t\n\x0b\x0c\r"
+__all__ = ["cut", "drop_cut", "new_path", "remove", "shared_root"]
 _UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
-_ROOTS: dict[str, str] = {}
 
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -26,57 +25,6 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
-# ------------------------------------------------------------------ shared storage
-
-
-def shared_root(spark: SparkSession) -> str:
-    """Folder of this application below ``spark.checkpoint.dir``; removed when the driver ends.
-
-    Where the setting is absent, a local session (tests) gets a temporary folder, and any other session a folder below
-    the warehouse, which all executors share.
-    """
-    app = spark.sparkContext.applicationId
-    if app not in _ROOTS:
-        base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-        if not base and spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local":
-            base = base or "file://" + tempfile.mkdtemp(prefix="corpus-work-")
-        base = base or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_work"
-        _ROOTS[app] = f"{base.rstrip('/')}/corpus-{app}-{uuid.uuid4().hex[:8]}"
-        atexit.register(remove, spark, _ROOTS[app])
-    return _ROOTS[app]
-
-
-def remove(spark: SparkSession, path: str) -> None:
-    """Delete ``path`` through Hadoop, whatever store it is in; nothing happens when the session has ended."""
-    jvm = spark.sparkContext._jvm
-    if spark.sparkContext._jsc is None or jvm is None or spark.sparkContext._jsc.sc().isStopped():
-        return
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-
-
-def new_path(spark: SparkSession, name: str) -> str:
-    """An unused path for a working table of the given name."""
-    return f"{shared_root(spark)}/{name}-{uuid.uuid4().hex[:10]}"
-
-
-def cut(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` as a table in the shared folder and read it back: the lineage ends there.
-
-    Lost executors then cost only the tasks that read the table, and later passes read just the columns they need.
-    """
-    path = new_path(df.sparkSession, name)
-    df.write.option("compression", "zstd").parquet(path)
-    out = df.sparkSession.read.schema(df.schema).parquet(path)
-    out._work_path = path
-    return out
-
-
-def drop_cut(df: DataFrame) -> None:
-    """Remove a table made by :func:`cut` that nothing will read again."""
-    remove(df.sparkSession, df._work_path)
-
-
 # ------------------------------------------------------------------ text expressions
 
 
@@ -97,10 +45,6 @@ def fresh(df: DataFrame, *wanted: str) -> list[str]:
     return out
 
 
-def has_column(df: DataFrame, name: str) -> bool:
-    return name in df.columns
-
-
 # ------------------------------------------------------------------ Arrow kernels
 
 #: Rows are handed to a kernel in slices of at most so many UTF-8 bytes (one row at least).

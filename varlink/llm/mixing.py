@@ -40,7 +40,7 @@ class MixTargets:
     budget_share: float = 1.0
     max_epochs: int = 4
     seed: int = 20
-    bucket_rows: int = 20_000
+    bucket_rows: int = 4_000
     domains: int = 3
 
 
