@@ -126,10 +126,10 @@ def test_secrets_like_patterns(pieces):
 
 
 def test_checksums():
-    body = "a" * 30
+    body = "aQ" * 15
     good = "ghp_" + body + secret_scan.base62_crc(body.encode()).decode()
     assert secret_scan.find_secrets(f"é {good} x") == [("forge", 2, 42)]
-    assert secret_scan.find_secrets("ghp_" + "a" * 36) == []
+    assert secret_scan.find_secrets("ghp_" + "Q" * 36) == []
     assert secret_scan.mask_secrets(f"see {good}.") == "see [forge]."
     assert secret_scan.mask_secrets(None) is None
 

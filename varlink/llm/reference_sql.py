@@ -62,7 +62,7 @@ def _urls() -> str:
     def kappa(src: str, key: str) -> str:
         m = "(sum(bad)::DOUBLE / sum(n))"
         spread = f"((sum(bad::DOUBLE * bad / n) - sum(n)::DOUBLE * {m} * {m} - (count(*) - 1) * {m} * (1 - {m})) / sum(n))"
-        return f"SELECT {key} least(greatest(coalesce(CASE WHEN {spread} > 0 THEN {m} * (1 - {m}) / {spread} - 1 ELSE {p.most} END, {p.most}), {p.least}), {p.most}) AS kappa, sum(bad)::DOUBLE AS bad_up, sum(n)::DOUBLE AS n_up FROM {src} {f'GROUP BY {key[:-1]}' if key else ''}"
+        return f"SELECT {key} least(greatest(coalesce(CASE WHEN count(*) < 2 THEN {p.least} WHEN {spread} > 0 THEN {m} * (1 - {m}) / {spread} - 1 ELSE {p.most} END, {p.most}), {p.least}), {p.most}) AS kappa, sum(bad)::DOUBLE AS bad_up, sum(n)::DOUBLE AS n_up FROM {src} {f'GROUP BY {key[:-1]}' if key else ''}"
 
     low = f"coalesce(rate - {p.z} * sqrt(rate * (1 - rate) / (weight + 1)) >= {p.block_at}, false)"
     return rf"""

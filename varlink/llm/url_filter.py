@@ -80,7 +80,8 @@ def _strength(counts: DataFrame, p: Reputation, parent: list[str]) -> DataFrame:
     g = counts.groupBy(*parent).agg(n.alias("n"), bad.alias("bad"), squares.alias("squares"), F.count("*").alias("groups"))
     m = F.col("bad") / F.col("n")
     spread = (F.col("squares") - F.col("n") * m * m - (F.col("groups") - 1) * m * (1 - m)) / F.col("n")
-    kappa = F.when(spread > 0, m * (1 - m) / spread - 1).otherwise(F.lit(p.most))
+    # one group says nothing of how groups differ: its prior stays weak
+    kappa = F.when(F.col("groups") < 2, F.lit(p.least)).when(spread > 0, m * (1 - m) / spread - 1).otherwise(F.lit(p.most))
     return g.select(*parent, F.col("n").alias("n_up"), F.col("bad").alias("bad_up"), F.least(F.greatest(F.coalesce(kappa, F.lit(p.most)), F.lit(p.least)), F.lit(p.most)).alias("kappa"))
 
 
