@@ -53,7 +53,7 @@ class Workload:
     form: str = "bits"
     use_g: bool = True
     seed: int = 42
-    train: TrainConfig = field(default_factory=lambda: TrainConfig(step=2e-3, batch=24, steps_per_epoch=30, epochs=8, values=32))
+    train: TrainConfig = field(default_factory=lambda: TrainConfig(step=2e-3, batch=32, steps_per_epoch=40, epochs=24, values=48))
 
     def __hash__(self) -> int:
         return hash(repr(self))
@@ -198,7 +198,7 @@ def run_input_ablation(spark, sf_dir, cfg: Workload = Workload()) -> DataFrame:
     out = None
     for flags in (0, 12):
         for variant, change in (("raw", {"form": "raw"}), ("exp_mantissa", {"form": "exp_mantissa"}), ("bits", {}), ("bits_no_g", {"use_g": False})):
-            c = replace(cfg, flags=flags, train=replace(cfg.train, epochs=4), **change)
+            c = replace(cfg, flags=flags, train=replace(cfg.train, epochs=8), **change)
             net, _ = model_of(spark, sf_dir, "numeric", c)
             for setting in ("split", "diff"):
                 values, pairs = eval_pairs(spark, sf_dir, "numeric", setting, c)
@@ -296,7 +296,7 @@ def run_lookalike_flags(spark, sf_dir, cfg: Workload = Workload(), flags: int =
     others."""
     out = None
     for use_g in (True, False):
-        c = replace(cfg, flags=flags, use_g=use_g, train=replace(cfg.train, epochs=4))
+        c = replace(cfg, flags=flags, use_g=use_g, train=replace(cfg.train, epochs=12))
         net, _ = model_of(spark, sf_dir, "numeric", c)
         cv, truth = prepare(spark, sf_dir, "numeric", c)
         v = vectors_of(cv, "numeric", net, c)
@@ -432,7 +432,7 @@ def run_objectives(spark, sf_dir, cfg: Workload = Workload(), seeds: tuple[int,
         aucs, seconds, noise = [], 0.0, []
         for seed in seeds:
             net = network_of("numeric", replace(cfg, seed=seed))
-            h = train(net, data, replace(cfg.train, objective=objective, sampler=sampler, seed=seed, epochs=3))
+            h = train(net, data, replace(cfg.train, objective=objective, sampler=sampler, seed=seed, epochs=6))
             seconds += h.seconds
             noise.append(np.std(h.gradient_norm) / (np.mean(h.gradient_norm) or 1))
             aucs.append(M.roc_auc(score_pairs(vectors_of(values, "numeric", net, cfg), pairs).join(pairs, ["id_a", "id_b"])).first()["auc"] or 0.5)
@@ -475,7 +475,7 @@ def run_scarcity(spark, sf_dir, cfg: Workload = Workload()) -> DataFrame:
         known = Packed(data.ids, data.inputs, [v if x < share else None for v, x in zip(data.variable, u, strict=True)], data.table)
         for augment in (0.0, 0.5):
             net = network_of("numeric", cfg)
-            train(net, known, replace(cfg.train, augment=augment, epochs=3))
+            train(net, known, replace(cfg.train, augment=augment, epochs=8))
             auc = M.roc_auc(score_pairs(vectors_of(values, "numeric", net, cfg), pairs).join(pairs, ["id_a", "id_b"])).first()["auc"]
             rows.append((augment, share, round(auc or 0.5, 4)))
     return spark.createDataFrame(rows, "augmentation double, match_share double, auc double")
