@@ -43,8 +43,8 @@ class QualityRules:
         # measure, least distance, fenced below too
         ("word_length", 1.0, True),
         ("symbol_rate", 0.1, False),
-        ("dup_line_share", 0.3, False),
-        ("repeat_share", 0.2, False),
+        ("dup_line_share", 0.4, False),
+        ("repeat_share", 0.4, False),
     )
 
     @property
