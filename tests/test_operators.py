@@ -261,6 +261,12 @@ def test_exact_search(cloud):
     assert X.top_k_exact(q.limit(0), df, 3).count() == 0
 
 
+def test_many_ties(spark):
+    df = spark.createDataFrame([(f"{i:03d}", [float(i // 40), 0.0]) for i in range(200)], "dataset_id string, s array<double>").repartition(3)
+    q = spark.createDataFrame([("q", [0.0, 0.0])], "query_id string, s array<double>")
+    assert [r["dataset_id"] for r in X.top_k_exact(q, df, 3).orderBy("rank").collect()] == ["000", "001", "002"]
+
+
 def test_indexes(cloud):
     x, df, q = cloud
     exact = X.top_k_exact(q, df, 5).cache()
