@@ -150,13 +150,12 @@ def group_near_copies(docs: DataFrame, bucket_limit: int = BUCKET_LIMIT, keep: l
     return out, fp, comp
 
 
-def drop_near_copies(docs: DataFrame, bucket_limit: int = BUCKET_LIMIT) -> DataFrame:
-    """One document of every component: the one with the smallest ``doc_id``.
+def keep_first(grouped: DataFrame, fp: str, comp: str, columns: list[str]) -> DataFrame:
+    """One row of every component of ``grouped``: the one with the smallest ``doc_id``.
 
     Of rows that repeat this ``doc_id`` one stays. Rows without ``doc_id`` stay only where no row of their component has
     one, and then one of them.
     """
-    grouped, fp, comp = group_near_copies(docs, bucket_limit)
     (twice,) = fresh(grouped, "copies")
     chosen = grouped.filter(F.col("doc_id").eqNullSafe(F.col(comp)))
     single = chosen.filter("doc_id IS NOT NULL")
@@ -164,4 +163,10 @@ def drop_near_copies(docs: DataFrame, bucket_limit: int = BUCKET_LIMIT) -> DataF
     alone = single.join(repeated, F.col("doc_id") == F.col(twice), "left_anti")
     again = single.join(repeated, F.col("doc_id") == F.col(twice), "left_semi").dropDuplicates(["doc_id"])
     nameless = chosen.filter("doc_id IS NULL").dropDuplicates([fp])
-    return alone.unionByName(again).unionByName(nameless).select(*[F.col(f"`{c}`") for c in docs.columns])
+    return alone.unionByName(again).unionByName(nameless).select(*[F.col(f"`{c}`") for c in columns])
+
+
+def drop_near_copies(docs: DataFrame, bucket_limit: int = BUCKET_LIMIT) -> DataFrame:
+    """One document of every component: the one with the smallest ``doc_id`` (see :func:`keep_first`)."""
+    grouped, fp, comp = group_near_copies(docs, bucket_limit)
+    return keep_first(grouped, fp, comp, docs.columns)
