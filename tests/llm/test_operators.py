@@ -79,6 +79,62 @@ def test_sketch_accuracy(spark):
         assert abs(got / np.percentile(x, p) - 1) < 2 * quality.RULES.accuracy
 
 
+def prose(rng, n, size=80, mean=5):
+    return [" ".join("x" * max(1, k) for k in rng.poisson(mean, size)) for _ in range(n)]
+
+
+def fences_by_source(spark, texts):
+    rows_ = [(i, t, "en", s) for i, (s, t) in enumerate((s, t) for s, ts in texts.items() for t in ts)]
+    docs = spark.createDataFrame(rows_, "doc_id long, text string, lang string, source string")
+    measured = quality.measure(docs, list(quality.COUNTS)).filter("n_words > 0")
+    s = quality.sketch(measured, [F.col("lang"), F.col("source")], quality.measures({c: F.col(c) for c in quality.COUNTS}))
+    return {(r["source"], r["measure"]): r for r in quality.fence_rows(s).collect()}, docs
+
+
+def test_fences_follow_their_source(spark):
+    """A source whose documents use longer words gets its fences there, and no other source's fences move much."""
+    rng = np.random.default_rng(3)
+    texts = {"a": prose(rng, 300), "b": prose(rng, 300)}
+    before, _ = fences_by_source(spark, texts)
+    after, _ = fences_by_source(spark, texts | {"b": prose(rng, 300, mean=9)})
+    moved = lambda source, side: after[source, "word_length"][side] - before[source, "word_length"][side]
+    for side in ("low", "high"):
+        assert moved("b", side) > 2 and abs(moved("a", side)) < moved("b", side) / 2
+    assert before["a", "word_length"]["own"] > 0.8
+    few, _ = fences_by_source(spark, texts | {"c": prose(rng, 5)})
+    assert few["c", "word_length"]["own"] < 0.1 and abs(few["c", "word_length"]["high"] - before["a", "word_length"]["high"]) < 0.3
+
+
+def test_fences_reject_each_kind(spark):
+    rng = np.random.default_rng(4)
+    words = lambda: [f"w{k}" for k in rng.integers(0, 10**9, 120)]
+    good = [" ".join(words()) for _ in range(400)]
+    bad = {
+        "word_length": " ".join("x" * 20 + w for w in words()),
+        "symbol_rate": " ".join(w + "|" for w in words()),
+        "dup_line_share": "\n".join(f"{a}" for a in words() for _ in range(2)),
+        "repeat_share": " ".join((x := words())[:40] + x[:40] + x[40:]),
+    }
+    docs = spark.createDataFrame([(i, t, "en", "s") for i, t in enumerate([*good, *bad.values()])], "doc_id long, text string, lang string, source string")
+    judged, _, failed, kept = quality.judge(docs, quality.QualityRules(max_repeat_percent=90), keep=["doc_id"], report=True)
+    got = {r["doc_id"]: r for r in judged.collect()}
+    assert sum(not got[i][kept] for i in range(400)) == 0
+    for i, name in enumerate(bad):
+        assert name in got[400 + i][f"{kept}_by"] and not got[400 + i][failed], name
+
+
+def test_sketch_sets_most_fences(spark, sf_dir):
+    """In most groups of the given table the group's own sketch weighs more than what it is shrunk to."""
+    docs = load(spark, sf_dir.rsplit("/", 1)[0] + "/sf0.1", "documents")
+    measured = quality.measure(docs, list(quality.COUNTS), keep=["lang", "source"])
+    count = {c: F.col(c) for c in quality.COUNTS}
+    s = quality.sketch(measured.filter(~quality.base_failed(count)), quality.group_columns(), quality.measures(count))
+    own = [r["own"] for r in quality.fence_rows(s).collect()]
+    assert sum(w > 0.5 for w in own) > 0.5 * len(own)
+    said = {r["rule"]: r["n"] for r in quality.rejections(docs).groupBy("rule").agg(F.sum("documents").alias("n")).collect()}
+    assert said["base"] > 0 and said["word_length"] > 0 and said["symbol_rate"] > 0
+
+
 # ------------------------------------------------------------------ 2: token counts
 
 

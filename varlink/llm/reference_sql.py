@@ -13,14 +13,16 @@ _WS = r"[^\x20\x09-\x0D]+"
 def _quality() -> str:
     r = quality.RULES
     g = r.gamma
-    rate = {"word_length": ("word_chars", "n_words"), "symbol_rate": ("n_symbols", "n_words"), "dup_line_share": ("n_dup_lines", "n_lines"), "repeat_share": ("n_repeat_words", "n_words")}
-    measures = " UNION ALL ".join(f"SELECT doc_id, lang, source, '{k}' AS measure, CASE WHEN {b} > 0 THEN {a}::DOUBLE / {b} ELSE 0.0 END AS v FROM counted WHERE NOT base_failed" for k, (a, b) in rate.items())
-    slack = " ".join(f"WHEN '{k}' THEN {s}" for k, s, _ in r.slack)
+    value = lambda a, b: f"CASE WHEN {b} > 0 THEN {a}::DOUBLE / {b} ELSE 0.0 END"
+    error = lambda a, b, unit: f"{r.errors} * CASE WHEN {b} > 0 THEN sqrt({unit} * {a}::DOUBLE) / {b} ELSE 0.0 END"
+    measures = " UNION ALL ".join(f"SELECT doc_id, lang, source, '{k}' AS measure, {value(a, b)} AS v FROM counted WHERE NOT base_failed" for k, a, b, _, _ in quality.MEASURES)
+    fence = lambda k, side: f"max(CASE WHEN measure = '{k}' THEN {side} END)"
     tests = " AND ".join(
-        f"coalesce(CASE WHEN {b} > 0 THEN {a}::DOUBLE / {b} ELSE 0.0 END <= max(CASE WHEN measure = '{k}' THEN high END), true)" + (f" AND coalesce(CASE WHEN {b} > 0 THEN {a}::DOUBLE / {b} ELSE 0.0 END >= max(CASE WHEN measure = '{k}' THEN low END), true)" if below else "")
-        for k, _, below in r.slack
-        for a, b in [rate[k]]
+        f"NOT coalesce({value(a, b)} - {error(a, b, unit)} > {fence(k, 'high')}, false)" + (f" AND NOT coalesce({value(a, b)} + {error(a, b, unit)} < {fence(k, 'low')}, false)" if below else "") for k, a, b, unit, below in quality.MEASURES
     )
+    at = lambda percent: f"min(CASE WHEN upto * 100 >= {percent} * total THEN v END)"
+    toward = lambda n, own, above: f"(({n} * {own} + {r.prior} * {above}) / ({n} + {r.prior}))"
+    mid, up, down = (toward("a.n", f"a.{c}", toward("b.n", f"b.{c}", f"c.{c}")) for c in ("mid", "up", "down"))
     return rf"""
 WITH docs AS (SELECT doc_id, coalesce(text, '') AS text, coalesce(lang, '') AS lang, coalesce(source, '') AS source FROM documents),
 w AS (SELECT doc_id, lang, source, text, regexp_extract_all(text, '{_WS}') AS words FROM docs),
@@ -40,12 +42,10 @@ levels AS (SELECT 0 AS level, lang, source, measure, bucket, count(*) AS n FROM
   UNION ALL SELECT 1, lang, NULL, measure, bucket, count(*) FROM buckets GROUP BY ALL
   UNION ALL SELECT 3, NULL, NULL, measure, bucket, count(*) FROM buckets GROUP BY ALL),
 ranked AS (SELECT *, coalesce(2.0 * pow({g!r}, bucket) / ({g!r} + 1), 0.0) AS v, sum(n) OVER (PARTITION BY level, lang, source, measure ORDER BY bucket NULLS FIRST) AS upto, sum(n) OVER (PARTITION BY level, lang, source, measure) AS total FROM levels),
-q AS (SELECT level, lang, source, measure, max(total) AS n, min(CASE WHEN upto * 4 >= total THEN v END) AS q1, min(CASE WHEN upto * 4 >= 3 * total THEN v END) AS q3 FROM ranked GROUP BY ALL),
-f AS (SELECT level, lang, source, measure, n, q1 - greatest({r.reach} * (q3 - q1), CASE measure {slack} END) AS low, q3 + greatest({r.reach} * (q3 - q1), CASE measure {slack} END) AS high FROM q),
+q AS (SELECT level, lang, source, measure, max(total) AS n, {at(50)} AS mid, {at(90)} - {at(50)} AS up, {at(50)} - {at(10)} AS down FROM ranked GROUP BY ALL),
 fences AS (
-  SELECT a.lang, a.source, a.measure, CASE WHEN a.n >= {r.min_group} THEN a.low WHEN b.n >= {r.min_group} THEN b.low ELSE c.low END AS low,
-    CASE WHEN a.n >= {r.min_group} THEN a.high WHEN b.n >= {r.min_group} THEN b.high ELSE c.high END AS high
-  FROM f a JOIN f b ON b.level = 1 AND b.lang = a.lang AND b.measure = a.measure JOIN f c ON c.level = 3 AND c.measure = a.measure WHERE a.level = 0)
+  SELECT a.lang, a.source, a.measure, {mid} - {r.reach} * {down} AS low, {mid} + {r.reach} * {up} AS high
+  FROM q a JOIN q b ON b.level = 1 AND b.lang = a.lang AND b.measure = a.measure JOIN q c ON c.level = 3 AND c.measure = a.measure WHERE a.level = 0)
 SELECT c.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND {tests} AS kept
 FROM counted c LEFT JOIN fences f ON f.lang = c.lang AND f.source = c.source
 GROUP BY c.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, n_lines, base_failed
