@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import time
 import zlib
 from collections import Counter
 
@@ -171,6 +172,44 @@ def test_tokens_messy(clashing, nothing):
     assert tokens.token_counts(nothing, queries.tokenizer_path()).count() == 0
 
 
+def test_clashing_names(spark):
+    """The caller's columns keep their names and values; results step aside."""
+    own = spark.createDataFrame([("a token=abcdefgh1", 1, "mine", 2.0, 3)], "text string, N_TOKENS int, spans string, score double, n_bytes int")
+    made = tokens.token_counts(own, queries.tokenizer_path())
+    assert made.columns == [*own.columns, "n_bytes_", "n_tokens_", "over_limit"] and made.first()["n_bytes"] == 3
+    made = secret_scan.scan_secrets(own)
+    assert made.columns == [*own.columns, "n_assign", "n_access", "n_hex", "base_sha256", "spans_"] and made.first()["spans"] == "mine"
+    made = byte_cnn.score_quality(own, byte_cnn.train([], np.array([])))
+    assert made.columns == [*own.columns, "score_", "predicted"] and made.first()["score"] == 2.0
+
+
+def test_long_tokens_without_blanks(counter):
+    """Texts without white space are spliced at punctuation and digits, in time that grows with their length."""
+    rng = random.Random(2)
+    letters = [chr(rng.randrange(0x4E00, 0x9FA0)) for _ in range(500)] + list("aß\u0130é")
+    for sign in ("，。！", "1", ".|'", "\u0301,"):
+        text = "".join(rng.choice(sign) if rng.random() < 0.05 else rng.choice(letters) for _ in range(6000))
+        text = text[:3000] + "<|endoftext|>" + text[3000:]
+        assert counter.count_long(text) == len(counter.encode(text).ids)
+        for p in counter.stable_points(text, 0, len(text))[::40]:
+            assert len(counter.encode(text[:p]).ids) + len(counter.encode(text[p:]).ids) == len(counter.encode(text).ids)
+    bare = "".join(rng.choice(letters) for _ in range(5000))
+    assert counter.count_long(bare) == len(counter.encode(bare).ids)
+    big = tokens.TokenCounter(queries.tokenizer_path())
+    seconds, encoded = [], []
+    plain = big.encode
+    for n in (200_000, 800_000):
+        text = "".join(rng.choice("，。") if rng.random() < 0.05 else rng.choice(letters) for _ in range(n))
+        spent = []
+        big.encode = lambda t, spent=spent: spent.append(len(t)) or plain(t)
+        began = time.process_time()
+        big.count(text)
+        seconds.append(time.process_time() - began)
+        encoded.append(sum(spent) / n)
+        assert max(spent) < 2 * big.chunk
+    assert max(encoded) < 1.2 and seconds[1] < 8 * seconds[0]
+
+
 # ------------------------------------------------------------------ 3: secrets
 
 
@@ -251,6 +290,41 @@ def test_classifier_whole_text():
     assert byte_cnn.train([b"x"], np.array([1.0]), c).score("x") == byte_cnn.train([b"x"], np.array([1.0]), c).score("")
 
 
+def test_classifier_forward_brute(spark):
+    """Scores of the given documents against windows taken one at a time."""
+    rng = np.random.default_rng(5)
+    c = byte_cnn.CnnConfig(widths=(2, 4), filters=3, chunk=64)
+    model = byte_cnn.ByteCnn([rng.normal(size=(w, 256, 3)).astype(np.float32) for w in c.widths], [rng.normal(size=3).astype(np.float32) for _ in c.widths], rng.normal(size=6), 0.2, c)
+    docs = load(spark, "/root/testdata/sf0.001", "documents").filter("length(text) < 1500")
+    assert docs.count() > 50
+    for r in byte_cnn.score_quality(docs, model, keep=["text"]).collect():
+        raw = r["text"].encode()
+        raw = raw.ljust(4, b" ") if raw else raw
+        feats = []
+        for w, table, bias in zip(c.widths, model.tables, model.bias, strict=True):
+            for f in range(3):
+                best = max((sum(float(table[i, raw[at + i], f]) for i in range(w)) for at in range(len(raw) - w + 1)), default=None)
+                feats.append(0.0 if best is None else np.tanh(max(0.0, best + float(bias[f]))))
+        assert abs(r["score"] - 1 / (1 + np.exp(-(np.dot(feats, model.out) + 0.2)))) < 1e-5
+
+
+def test_classifier_learns_from_the_end():
+    """Marks that come only after the first 5,000 bytes are learned, and found there."""
+    plain = "some plain words of a long text here " * 200
+    rows_ = [(plain + f"tail {i} ") for i in range(40)] + [(plain + f"@@~~ {i} @@~~") for i in range(40)]
+    model = byte_cnn.train([t.encode() for t in rows_], np.array([1.0] * 40 + [0.0] * 40), byte_cnn.CnnConfig(epochs=15))
+    assert model.score(plain + "tail 99 ") > 0.5 > model.score(plain + "@@~~ 99 @@~~")
+
+
+def test_classifier_sample(spark):
+    """One row an id, the same on every run, whole texts, at most ``sample_rows``."""
+    docs = spark.createDataFrame([(i % 50, f"text {i} " + "x" * 9000) for i in range(400)], "doc_id long, text string").repartition(7)
+    labels = spark.createDataFrame([(i, i % 2) for i in range(50)], "doc_id long, quality int")
+    taken = lambda d: sorted((r["doc_id"], bytes(r["raw"])) for r in byte_cnn.training_sample(d, labels, byte_cnn.CnnConfig(sample_rows=20)).collect())
+    one = taken(docs)
+    assert one == taken(docs.repartition(3)) and len(one) == len({d for d, _ in one}) == 20 and all(len(t) > 9000 for _, t in one)
+
+
 def test_classifier_messy(spark, clashing, nothing):
     labels = spark.createDataFrame([(4, 1), (7, 1), (7, 0), (11, 0), (None, 1), (12, None)], "doc_id long, quality int")
     model = byte_cnn.fit(clashing, labels, byte_cnn.CnnConfig(epochs=1))

@@ -35,9 +35,13 @@ def ascii_lower(text: Column) -> Column:
 
 def fresh(df: DataFrame, *wanted: str) -> list[str]:
     """Names for helper columns that clash with no column of ``df`` (case-insensitively)."""
-    have, out = {c.lower() for c in df.columns}, []
+    return free_names(df.columns, *(f"__{name}" for name in wanted))
+
+
+def free_names(taken: list[str], *wanted: str) -> list[str]:
+    """The ``wanted`` names, each with underscores added until it clashes with no name of ``taken``."""
+    have, out = {c.lower() for c in taken}, []
     for name in wanted:
-        name = f"__{name}"
         while name.lower() in have:
             name += "_"
         have.add(name.lower())

@@ -5,7 +5,8 @@ these hits, leftmost first and without overlap per kind; kinds with an embedded
 of hexadecimal digits have no keyword: they are found by their own run scan.
 
 Spans are ``kind, start, end`` in code points, end exclusive. Edge cases: null and empty texts have no spans; repeated
-rows are scanned alike.
+rows are scanned alike; kept columns that have the name of a result stay, and the result takes a name of its own; an empty
+table gives an empty result.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from functools import lru_cache
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from .common import map_texts
+from .common import free_names, map_texts
 
 # The kinds in their order, keywords and patterns of the base rules.
 BASE_KINDS = ("assign", "access", "hex")
@@ -117,9 +118,13 @@ def _kernel(texts: list) -> list[list]:
 
 
 def scan_secrets(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
-    """``docs`` with ``n_assign``, ``n_access``, ``n_hex``, ``base_sha256`` and ``spans``."""
-    fields = [T.StructField(f"n_{k}", T.LongType()) for k in BASE_KINDS] + [T.StructField("base_sha256", T.StringType()), T.StructField("spans", T.StringType())]
-    keep = [c for c in (docs.columns if keep is None else keep) if c.lower() not in {f.name for f in fields}]
+    """``docs`` with ``n_assign``, ``n_access``, ``n_hex``, ``base_sha256`` and ``spans`` as last columns.
+
+    Where a kept column has one of these names (in any case), the new one takes underscores until it is free.
+    """
+    keep = docs.columns if keep is None else keep
+    names = free_names(keep, *(f"n_{k}" for k in BASE_KINDS), "base_sha256", "spans")
+    fields = [T.StructField(n, T.LongType() if i < len(BASE_KINDS) else T.StringType()) for i, n in enumerate(names)]
     return map_texts(docs, "text", fields, _kernel, keep)
 
 
