@@ -31,7 +31,7 @@ def rows(df):
 @pytest.mark.parametrize("name", sorted(SQL))
 def test_sql(spark, sf_dir, name):
     con = duckdb.connect()
-    for t in ("documents", "pages", "benchmark"):
+    for t in ("documents", "pages", "benchmark", "labels"):
         con.execute(f"create view {t} as select * from '{sf_dir}/{t}.parquet'")
     got = queries.queries()[name](spark, sf_dir)
     want = con.execute(f"select {', '.join(got.columns)} from ({SQL[name]})").fetchall()
@@ -264,6 +264,29 @@ def test_reputation_shrinks(spark):
     assert {r["page_id"]: r[names[3]] for r in url_filter.judge_urls(pages, out.limit(0), rules=())[0].collect()} == {1: "allow", 2: "allow", 3: "allow"}
 
 
+def test_reputation_finds_planted_hosts(spark):
+    """Of hosts below one domain, those that show bad documents are blocked, and the rules say nothing of it."""
+    rng = random.Random(6)
+    bad_hosts, rows_ = {"h3", "h7"}, []
+    labels = [(i, i % 2 == 0) for i in range(4000)]
+    for h in range(20):
+        for _ in range(60):
+            bad = rng.random() < (0.8 if f"h{h}" in bad_hosts else 0.1)
+            rows_.append((len(rows_), f"http://h{h}.example.net/fr/{2 * rng.randrange(2000) + (not bad)}?x"))
+    rows_ += [(len(rows_) + i, f"http://h1.example.net/de/{2 * i}") for i in range(300)]  # allowed by a rule, so no outcomes
+    pages = spark.createDataFrame(rows_, "page_id long, url string")
+    judged, names = url_filter.judge_urls(pages, labels=spark.createDataFrame(labels, "key long, bad boolean"))
+    blocked = {r[names[0]].split(".")[0] for r in judged.collect() if r[names[3]] == "block" and "/fr/" in r["url"]}
+    assert blocked == bad_hosts
+
+
+def test_hosts(spark):
+    hosts = {"a.b.co.uk": ("b.co.uk", "co.uk"), "u@x.y.com:80": ("y.com", "com"), "10.0.0.1:8080": ("10.0.0.1", "#address"), "[::1]:80": ("[::1]", "#address"), "w.org..": ("w.org", "org"), "one": ("one", "one"), "": ("", "")}
+    bare = url_filter.bare_host(F.col("h"))
+    got = {r["h"]: (r["d"], r["s"]) for r in spark.createDataFrame([(h,) for h in hosts], "h string").select("h", url_filter.domain_of(bare).alias("d"), url_filter.suffix_of(bare).alias("s")).collect()}
+    assert got == hosts
+
+
 # ------------------------------------------------------------------ 5: classifier
 
 

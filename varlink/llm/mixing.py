@@ -5,9 +5,11 @@ children by weight, and what a child cannot take (``max_epochs`` times its token
 what a whole subtree cannot take reaches the siblings of its parent. Every leaf then takes whole epochs, and of the last
 one the prefix, in a seeded order, whose tokens fit the rest.
 
-The prefix is found without moving texts: tokens are summed per order key in buckets of the leaf, the bucket in which
-the budget ends is searched, and its last key that fits becomes the leaf's cut key. Documents are then chosen by
-comparing their own key with it. A leaf with a third of all rows has proportionally many buckets.
+The prefix is found without moving texts or sorting a leaf: tokens are summed by the first bits of the order keys, which
+tells the bits at which the budget ends; the few rows that begin with these are written and summed by the next bits, until
+what is left of every leaf is short. The first key that does not fit makes the leaf's cut key, and documents are chosen by
+comparing their own key with it. Every step is one aggregation, so a leaf with a third of all rows is no heavier to a task
+than another.
 
 Edge cases: a null text has no tokens, null domain, language and source count as ``''``; rows alike in id and text share
 a key and are taken or left together; leaves without tokens take nothing; a weight of 0 takes nothing; an empty table
@@ -40,7 +42,8 @@ class MixTargets:
     budget_share: float = 1.0
     max_epochs: int = 4
     seed: int = 20
-    bucket_rows: int = 4_000
+    step_bits: int = 6
+    bucket_rows: int = 512  # rows of a leaf that are ordered at once
     domains: int = 3
 
 
@@ -108,30 +111,45 @@ def allot(leaves: DataFrame, targets: MixTargets = TARGETS) -> DataFrame:
     return out.withColumn("epochs", epochs).withColumn("rest", F.col("budget") - F.col("epochs") * F.col("tokens"))
 
 
+KEY_BITS = 60
+
+
 def cut_keys(rows: DataFrame, budgets: DataFrame, targets: MixTargets = TARGETS) -> DataFrame:
-    """``domain, lang, source, cut_key``: the last key of each leaf's prefix (null: the prefix is empty).
+    """``domain, lang, source, cut_key``: every key of a leaf up to this one fits its rest, and the next does not.
 
-    ``rows`` has ``domain, lang, source, doc_id, digest, n_tokens``.
+    ``rows`` has ``domain, lang, source, doc_id, digest, n_tokens``. Leaves without a rest have no row.
     """
     leaf = list(LEVELS)
-    sizes = rows.groupBy(*leaf).agg(F.ceil(F.count("*") / targets.bucket_rows).alias("buckets"))
     # tables of one row a leaf, written so that their size is known before the rows are joined to them
-    part = cut(budgets.filter("rest > 0").select(*leaf, "epochs", "rest").join(sizes, leaf), "mix-partial")
-    keyed = rows.filter("n_tokens > 0").join(part, leaf).withColumn("key", order_key(targets.seed, F.col("epochs"), F.col("doc_id"), F.col("digest")))
-    keyed = keyed.withColumn("bucket", F.shiftright(F.shiftright("key", 30) * F.col("buckets"), 30))
-    sums = keyed.groupBy(*leaf, "bucket", "rest").agg(F.sum("n_tokens").alias("n"))
-    upto = Window.partitionBy(*leaf).orderBy("bucket").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    ends = sums.withColumn("through", F.sum("n").over(upto)).withColumn("before", F.col("through") - F.col("n")).filter("before < rest")
-    # all buckets but the last of these fit whole; the last one is searched
-    last = cut(ends.groupBy(*leaf).agg(F.max("bucket").alias("bucket"), F.max("before").alias("before")), "mix-last")
-    inside = keyed.join(last, [*leaf, "bucket"]).groupBy(*leaf, "bucket", "before", "rest", "key").agg(F.sum("n_tokens").alias("n"))
-    run = Window.partitionBy(*leaf, "bucket").orderBy("key").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    fits = inside.withColumn("through", F.col("before") + F.sum("n").over(run)).filter("through <= rest").groupBy(*leaf).agg(F.max("key").alias("inner"))
-    edge = last.withColumn("outer", F.col("bucket"))
-    found = part.join(edge.select(*leaf, "outer"), leaf).join(fits, leaf, "left")
-    # without a key in its own bucket the prefix ends below it: key >> 30 times buckets < bucket << 30
-    below = F.shiftleft(F.ceil((F.col("outer") * F.lit(1 << 30)) / F.col("buckets")).cast("long"), 30) - 1
-    return found.select(*leaf, F.coalesce("inner", below).alias("cut_key"))
+    state = cut(budgets.filter("rest > 0").select(*leaf, "epochs", "rest", F.lit(0).cast("long").alias("before"), F.lit(0).cast("long").alias("prefix")), "mix-partial")
+    key = order_key(targets.seed, F.col("epochs"), F.col("doc_id"), F.col("digest"))
+    inside = rows.filter("n_tokens > 0").join(state, leaf).select(*leaf, key.alias("key"), "n_tokens")
+    left = KEY_BITS
+    while True:
+        step = min(targets.step_bits, left)
+        left -= step
+        state = cut(_crossing(inside, state, F.shiftright("key", left)), "mix-partial")
+        if left:
+            at = state.select(*leaf, "prefix")
+            inside = cut(inside.join(at, leaf).filter(F.shiftright("key", left) == F.col("prefix")).drop("prefix"), "mix-inside")
+            most = inside.groupBy(*leaf).agg(F.count("*").alias("n")).agg(F.max("n")).first()[0]
+            if (most or 0) > targets.bucket_rows:
+                continue
+            state = _crossing(inside, state, F.col("key"))
+        return state.select(*leaf, (F.col("prefix") - 1).alias("cut_key"))
+
+
+def _crossing(inside: DataFrame, state: DataFrame, part: Column) -> DataFrame:
+    """``state`` one step on: the first ``part`` of each leaf at whose end the tokens exceed ``rest``, and those before.
+
+    The window sees one row for each part of a leaf.
+    """
+    leaf = list(LEVELS)
+    sums = inside.groupBy(*leaf, part.alias("part")).agg(F.sum("n_tokens").alias("n")).join(state.drop("prefix"), leaf)
+    upto = Window.partitionBy(*leaf).orderBy("part").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    ended = sums.withColumn("through", F.col("before") + F.sum("n").over(upto)).filter("through > rest")
+    first = ended.groupBy(*leaf, "epochs", "rest").agg(F.min(F.struct("part", (F.col("through") - F.col("n")).alias("before"))).alias("first"))
+    return first.select(*leaf, "epochs", "rest", "first.before", F.col("first.part").alias("prefix"))
 
 
 def mix(docs: DataFrame, targets: MixTargets = TARGETS, domain: Column | None = None, keep: list[str] | None = None) -> tuple[DataFrame, list[str]]:

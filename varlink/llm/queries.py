@@ -38,7 +38,9 @@ def op3_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    judged, (host, path, rule, verdict) = url_filter.judge_urls(load(spark, sf_dir, "pages").select("page_id", "url"))
+    bad = (F.col("quality") == 0) | (F.col("toxic") == 1)
+    labels = load(spark, sf_dir, "labels").select(F.col("doc_id").alias("key"), bad.alias("bad"))
+    judged, (host, path, rule, verdict) = url_filter.judge_urls(load(spark, sf_dir, "pages").select("page_id", "url"), labels=labels)
     return judged.select("page_id", F.col(host).alias("host"), F.col(path).alias("path"), F.col(rule).alias("rule"), F.col(verdict).alias("verdict"))
 
 

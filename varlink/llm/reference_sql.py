@@ -64,19 +64,25 @@ def _urls() -> str:
         spread = f"((sum(bad::DOUBLE * bad / n) - sum(n)::DOUBLE * {m} * {m} - (count(*) - 1) * {m} * (1 - {m})) / sum(n))"
         return f"SELECT {key} least(greatest(coalesce(CASE WHEN count(*) < 2 THEN {p.least} WHEN {spread} > 0 THEN {m} * (1 - {m}) / {spread} - 1 ELSE {p.most} END, {p.most}), {p.least}), {p.most}) AS kappa, sum(bad)::DOUBLE AS bad_up, sum(n)::DOUBLE AS n_up FROM {src} {f'GROUP BY {key[:-1]}' if key else ''}"
 
-    low = f"coalesce(rate - {p.z} * sqrt(rate * (1 - rate) / (weight + 1)) >= {p.block_at}, false)"
+    low = f"coalesce(rate - {p.z} * sqrt(rate * (1 - rate) / (weight + 1)) > {p.block_over} * (SELECT rate FROM top), false)"
+    two, last = "array_to_string(labels[-2:], '.')", ", ".join(f"'{x}'" for x in url_filter.SUFFIXES)
+    address = f"regexp_matches(bare, '{url_filter.ADDRESS}')"
     return rf"""
 WITH located AS (SELECT page_id, translate(coalesce(regexp_extract(url, '^.*?://([^/?#]*)', 1, 's'), ''), '{_UP}', '{_LOW}') AS host, coalesce(regexp_extract(url, '^.*?://[^/?#]*([^?#]*)', 1, 's'), '') AS path FROM pages),
 ruled AS (SELECT *, {rule} AS rule, {said} AS said FROM located),
-names AS (SELECT DISTINCT host, array_to_string(string_split(host, '.')[-2:], '.') AS domain, string_split(host, '.')[-1] AS suffix FROM ruled),
-hosts AS (SELECT host, domain, suffix, count(*) AS n, count(*) FILTER (said = 'block') AS bad FROM ruled JOIN names USING (host) WHERE said IS NOT NULL GROUP BY ALL),
+bared AS (SELECT DISTINCT host, regexp_replace(host, '{url_filter.TRIMMED}', '', 'g') AS bare FROM ruled),
+split AS (SELECT host, bare, string_split(bare, '.') AS labels FROM bared),
+names AS (SELECT host, bare, CASE WHEN {address} THEN bare WHEN {two} IN ({last}) THEN array_to_string(labels[-3:], '.') ELSE {two} END AS domain,
+  CASE WHEN {address} THEN '#address' WHEN {two} IN ({last}) THEN {two} ELSE labels[-1] END AS suffix FROM split),
+known AS (SELECT doc_id, max(quality = 0 OR toxic = 1) AS bad FROM labels WHERE quality IS NOT NULL OR toxic IS NOT NULL GROUP BY doc_id),
+hosts AS (SELECT bare AS host, domain, suffix, count(*) AS n, count(*) FILTER (bad) AS bad FROM ruled JOIN names USING (host) JOIN known ON doc_id = TRY_CAST(regexp_extract(path, '^/[^/]*/([0-9]+)', 1) AS BIGINT) WHERE said IS NULL AND bad IS NOT NULL GROUP BY ALL),
 domains AS (SELECT domain, suffix, sum(n) AS n, sum(bad) AS bad FROM hosts GROUP BY ALL),
 suffixes AS (SELECT suffix, sum(n) AS n, sum(bad) AS bad FROM domains GROUP BY ALL),
 top AS (SELECT (bad_up + 1) / (n_up + 2) AS rate, kappa AS weight FROM ({kappa("suffixes", "")})),
 s AS (SELECT suffix, (bad + t.weight * t.rate) / (n + t.weight) AS rate, n + t.weight AS weight FROM suffixes, top t),
 d AS (SELECT domain, (bad + kappa * s.rate) / (domains.n + kappa) AS rate, domains.n + kappa AS weight FROM domains JOIN s USING (suffix) JOIN ({kappa("domains", "suffix,")}) USING (suffix)),
 h AS (SELECT host, (bad + kappa * d.rate) / (hosts.n + kappa) AS rate, hosts.n + kappa AS weight FROM hosts JOIN d USING (domain) JOIN ({kappa("hosts", "domain,")}) USING (domain)),
-judged AS (SELECT host, coalesce((SELECT {low} FROM h WHERE h.host = names.host), (SELECT {low} FROM d WHERE d.domain = names.domain), (SELECT {low} FROM s WHERE s.suffix = names.suffix), (SELECT {low} FROM top), false) AS blocked FROM names)
+judged AS (SELECT host, coalesce((SELECT {low} FROM h WHERE h.host = names.bare), (SELECT {low} FROM d WHERE d.domain = names.domain), (SELECT {low} FROM s WHERE s.suffix = names.suffix), (SELECT {low} FROM top), false) AS blocked FROM names)
 SELECT page_id, host, path, rule, coalesce(said, CASE WHEN blocked THEN 'block' ELSE 'allow' END) AS verdict FROM ruled JOIN judged USING (host)
 """
 
