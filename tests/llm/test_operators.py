@@ -513,6 +513,21 @@ def test_proximity(spark):
     assert rows(got.select("doc_id", "left", "right")) == [(1, 0, 3), (1, 5, 3), (2, 1, 0)]
 
 
+def test_near_passage(spark):
+    """A benchmark passage with every eighth word changed or an extra one has no exact window, and is near all the same."""
+    rng = random.Random(9)
+    words = lambda n: [f"w{rng.randrange(4000)}" for _ in range(n)]
+    item = words(60)
+    changed = [w if i % 8 else "other" for i, w in enumerate(item)]
+    longer = [x for i, w in enumerate(item) for x in ([w, "extra"] if i % 8 == 4 else [w])]
+    texts = [words(80) + changed + words(50), words(20) + longer, item[::-1] + words(9), words(10) + item] + [words(100) for _ in range(300)]
+    docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    bench = spark.createDataFrame([(1, " ".join(item)), (2, " ".join(words(30)))], "item_id long, text string")
+    judged, (_, hit, n_items, _) = decontamination.judge_contamination(docs, bench, near="near")
+    got = [(r[n_items], r["near"]) for r in judged.orderBy("doc_id").collect()]
+    assert got[:4] == [(0, 1), (0, 1), (0, 0), (1, 1)] and set(got[4:]) == {(0, 0)}
+
+
 # ------------------------------------------------------------------ 10: lines
 
 

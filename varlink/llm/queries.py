@@ -69,9 +69,9 @@ def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, bench = load(spark, sf_dir, "documents").select("doc_id", "text"), load(spark, sf_dir, "benchmark").select("item_id", "text")
-    judged, (n_words, n_hit, n_items, items) = decontamination.judge_contamination(docs, bench, keep=["doc_id"])
+    judged, (n_words, n_hit, n_items, items) = decontamination.judge_contamination(docs, bench, keep=["doc_id"], near="n_near")
     return judged.select(
-        "doc_id", F.col(n_words).alias("n_words"), F.col(n_hit).alias("n_hit"), F.col(n_items).alias("n_items"), F.sha2(F.array_join(F.col(items), ",").cast("binary"), 256).alias("items_sha256"), (F.col(n_hit) > 0).alias("contaminated")
+        "doc_id", F.col(n_words).alias("n_words"), F.col(n_hit).alias("n_hit"), F.col(n_items).alias("n_items"), F.sha2(F.array_join(F.col(items), ",").cast("binary"), 256).alias("items_sha256"), (F.col(n_hit) > 0).alias("contaminated"), "n_near"
     )
 
 

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from . import mixing, quality, url_filter
+from . import decontamination, mixing, quality, url_filter
 
 _UP, _LOW = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 _WS = r"[^\x20\x09-\x0D]+"
@@ -137,9 +137,17 @@ sizes AS (SELECT DISTINCT n FROM bw),
 dw AS (SELECT rid, n, k, array_to_string(w[k : k + n - 1], ' ') AS gram FROM (SELECT rid, w, n, unnest(range(1, len(w) - n + 2)) AS k FROM d, sizes WHERE len(w) >= n)),
 met AS (SELECT rid, k, dw.n, item_id FROM dw JOIN bw ON dw.n = bw.n AND dw.gram = bw.gram),
 hit AS (SELECT rid, count(DISTINCT pos) AS n_hit FROM (SELECT rid, unnest(range(k, k + n)) AS pos FROM met) GROUP BY rid),
-items AS (SELECT rid, count(DISTINCT item_id) AS n_items, string_agg(DISTINCT item_id::VARCHAR, ',' ORDER BY item_id::VARCHAR) AS ids FROM met GROUP BY rid)
-SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items, sha256(coalesce(ids, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
-FROM d LEFT JOIN hit USING (rid) LEFT JOIN items USING (rid)
+items AS (SELECT rid, count(DISTINCT item_id) AS n_items, string_agg(DISTINCT item_id::VARCHAR, ',' ORDER BY item_id::VARCHAR) AS ids FROM met GROUP BY rid),
+placed AS (SELECT rid, unnest(w) AS term, unnest(range(0, len(w))) AS pos FROM d),
+totals AS (SELECT term, count(*) AS total FROM placed GROUP BY term),
+own AS (SELECT row_number() OVER () AS item, item_id, w, least(len(w), 10) AS n FROM (SELECT DISTINCT item_id, w FROM b WHERE len(w) > 0)),
+spots AS (SELECT item, k, n, w[k + i + 1] AS term, k + i AS place FROM (SELECT *, unnest(range(0, n)) AS i FROM (SELECT *, unnest(range(0, len(w) - n + 1)) AS k FROM own))),
+rare AS (SELECT item, k, count(total) AS present, n, list({{'total': total, 'term': term, 'place': place}} ORDER BY total, term, place) FILTER (total IS NOT NULL) AS r FROM spots LEFT JOIN totals USING (term) GROUP BY item, k, n),
+pairs AS (SELECT DISTINCT item, r[1].term AS lead, r[1].place AS a, r[2].term AS other, r[2].place AS z FROM rare WHERE present > 1),
+close AS (SELECT DISTINCT x.rid, p.item, p.a, p.z FROM pairs p JOIN placed x ON x.term = p.lead JOIN placed y ON y.rid = x.rid AND y.term = p.other AND abs((y.pos - x.pos) - (p.z - p.a)) <= {decontamination.SLACK}),
+near AS (SELECT rid, count(DISTINCT item_id) AS n_near FROM (SELECT rid, item, count(*) AS met_pairs FROM close GROUP BY rid, item) JOIN (SELECT item, count(*) AS all_pairs FROM pairs GROUP BY item) USING (item) JOIN own USING (item) WHERE met_pairs >= {decontamination.NEAR_SHARE} * all_pairs GROUP BY rid)
+SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items, sha256(coalesce(ids, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated, coalesce(n_near, 0)::BIGINT AS n_near
+FROM d LEFT JOIN hit USING (rid) LEFT JOIN items USING (rid) LEFT JOIN near USING (rid)
 """
 
 _TRIM = "chr(32) || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)"
