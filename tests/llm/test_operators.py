@@ -1,5 +1,6 @@
 """The operators against plain versions, on the given tables and on rows with nulls, repeats and long texts."""
 
+import gzip
 import hashlib
 import random
 import time
@@ -472,6 +473,37 @@ def test_archives(spark, tmp_path):
     assert warc.round_trip(df.limit(0)).count() == 0
 
 
+def test_archives_by_other_reader(spark, tmp_path):
+    """The files are gzip members of one record each, as the library's gzip reader and the length headers see them."""
+    big = "ü|" * 3000
+    pages = [(1, "http://a/", big), (2, "http://b/", big), (2, "http://c/", "other"), (3, None, None), (None, "n", "x" * 10)]
+    df = spark.createDataFrame(pages, "page_id long, url string, html string").repartition(2)
+    manifest = warc.write_archives(warc.plan_records(df), f"file://{tmp_path}/o", chunk_bytes=512).collect()
+    found, members = {}, 0
+    for row in manifest:
+        raw = open(row["path"], "rb").read()
+        while raw:
+            z = zlib.decompressobj(31)
+            record, raw, members = z.decompress(raw), z.unused_data, members + 1
+            head, _, block = record.partition(b"\r\n\r\n")
+            fields = dict(x.split(": ", 1) for x in head.decode().split("\r\n")[1:])
+            assert block[int(fields["Content-Length"]) :] == b"\r\n\r\n" and gzip.decompress(gzip.compress(block)) == block
+            payload = block[: int(fields["Content-Length"])].partition(b"\r\n\r\n")[2]
+            found[fields["WARC-Record-ID"]] = (fields, payload)
+    assert members == len(found) == len(pages) == sum(r["records"] for r in manifest)
+    for fields, payload in found.values():
+        whole = found[fields["WARC-Refers-To"]][1] if fields["WARC-Type"] == "revisit" else payload
+        assert "sha1:" + hashlib.sha1(whole).hexdigest() == fields["WARC-Payload-Digest"] and len(whole) == int(fields["X-Payload-Length"])
+
+
+def test_chunks_out_of_order(spark, tmp_path):
+    planned = warc.plan_records(spark.createDataFrame([(1, "u", "abc" * 100)], "page_id long, url string, html string"))
+    table = warc.chunk_table(planned, 64)
+    assert table.count() > 10 and table.filter("last").first()["digest_so_far"] == hashlib.sha1(b"abc" * 100).hexdigest()
+    with pytest.raises(Exception, match="not in order"):
+        warc.write_chunks(table.filter("chunk_no <> 3").coalesce(1), f"file://{tmp_path}/x")
+
+
 def test_archive_spoilt(tmp_path):
     head = warc.record_head("response", 1, "u", hashlib.sha1(b"abcdefgh").hexdigest(), 8, None)
     with open(tmp_path / "x", "wb") as out:
