@@ -428,3 +428,49 @@ def test_word_vectors(spark, sf_dir):
 def test_approx_stats(spark):
     r = {x["dataset_id"]: x for x in C.approx_stats(cv_of(spark, {"a": [1, 1, 2, 3] * 50, "b": range(3000)})).collect()}
     assert r["a"]["by_distinct"] and not r["b"]["by_distinct"] and r["a"]["n"] == 200 and abs(r["b"]["quartiles"][1] - 1500) < 60
+
+
+def test_tests_from_moments(spark):
+    """Hotelling's and the smoothed characteristic-function test from merged moments, against the tests on whole samples."""
+    rng = np.random.default_rng(2)
+    bags = {"a": rng.normal(size=(1500, 4)), "b": rng.normal(0.1, 1, size=(40, 4)), "c": rng.normal(size=(3, 4))}
+    df = spark.createDataFrame([(k, x.tolist()) for k, v in bags.items() for x in v], "dataset_id string, vec array<double>").repartition(5)
+    pairs = spark.createDataFrame([("a", "b"), ("a", "c"), ("b", "c")], "id_a string, id_b string")
+    got = {(r["id_a"], r["id_b"]): r["d"] for r in B.hotelling_of_moments(B.vector_moments(df), pairs, output="t2").collect()}
+    for a, b in got:
+        assert np.isclose(got[a, b], S.hotelling(bags[a], bags[b])[0])
+    values = {"a": np.round(rng.normal(size=900), 1), "b": np.round(rng.normal(0.3, 2, size=50), 1), "c": np.array([1.0])}
+    hist = spark.createDataFrame([(k, float(x), int((v == x).sum())) for k, v in values.items() for x in np.unique(v)], "dataset_id string, value_num double, weight long").repartition(4)
+    got = {(r["id_a"], r["id_b"]): r["d"] for r in B.smooth_cf_of_histograms(hist, pairs).collect()}
+    assert len(got) == 3
+    for a, b in got:
+        assert np.isclose(got[a, b], S.smooth_cf(values[a], values[b], B.test_frequencies()), rtol=1e-6)
+
+
+def test_strings_differ_late(spark):
+    """Strings that differ only after their first hundred characters have other embeddings, alone and in batches."""
+    from varlink.nets.bilstm import CharBiLstm
+    from varlink.operators import embed
+
+    net = CharBiLstm(4, 3, 2, None, 5).init(1)
+    texts = ["x" * 120 + end for end in ("a", "b")] + ["", "é" * 300, "short"] * 3
+    h, _ = embed.run_network(net, texts)
+    assert not np.allclose(h[0], h[1]) and np.allclose(h[2], h[5])
+    whole, embed.BATCH_CHARS = embed.BATCH_CHARS, 300
+    try:
+        assert np.allclose(embed.run_network(net, texts)[0], h)
+    finally:
+        embed.BATCH_CHARS = whole
+
+
+def test_probes_reach_their_recall(spark):
+    """The default number of probed cells gives the recall asked for, and fewer cells than all where cells are clear."""
+    rng = np.random.default_rng(4)
+    x = np.concatenate([rng.normal(8 * i, 1, size=(120, 3)) for i in range(6)])
+    repo = spark.createDataFrame([(f"d{i}", v.tolist()) for i, v in enumerate(x)], "dataset_id string, s array<double>")
+    centroids = X.fit_cells(repo, 6)
+    indexed = X.assign_cells(repo, centroids)
+    probes = X.choose_probes(indexed, centroids, 5)
+    queries = repo.limit(60).withColumnRenamed("dataset_id", "query_id")
+    recall = M.index_recall(X.top_k_cells(queries, indexed, centroids, 5), X.top_k_exact(queries, repo, 5), 5).first()["recall"]
+    assert probes < 6 and recall >= 0.85

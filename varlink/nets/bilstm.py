@@ -1,7 +1,6 @@
 """Character-level bidirectional recurrent network for general strings.
 
-Strings become UTF-8 bytes (at most ``max_len``; longer ones keep that many from the start, a documented parameter of the
-encoder, not of the data). Two stacked bidirectional layers; the final states of both directions of the top layer feed
+Strings become UTF-8 bytes, whole by default (``max_len`` bounds them for callers who want that). Two stacked bidirectional layers; the final states of both directions of the top layer feed
 separate dense heads: ``h`` (tanh) and ``g`` (squared scalar).
 """
 
@@ -14,7 +13,7 @@ import numpy as np
 from .mlp import Params
 
 
-def encode_bytes(strings: list[str], max_len: int = 64) -> tuple[np.ndarray, np.ndarray]:
+def encode_bytes(strings: list[str], max_len: int | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Byte ids, 0-padded (a byte b is b + 1), and lengths (at least 1)."""
     raw = [s.encode("utf-8", "surrogatepass")[:max_len] for s in strings]
     length = np.array([max(1, len(r)) for r in raw])
@@ -33,7 +32,7 @@ class CharBiLstm:
     units: int = 128
     n_out: int = 300
     depth: int = 2
-    max_len: int = 64
+    max_len: int | None = None
     char_dim: int = 32
     use_g: bool = True
     params: Params = field(default_factory=dict)

@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -174,7 +175,8 @@ def cf_moments(cv: DataFrame, freqs: list[float], mean: float, sd: float) -> Dat
 
 
 def pack(cv: DataFrame, value: str = "value_num", n: int = 1000, seed: int = 5, key: str = "row_key") -> DataFrame:
-    """``dataset_id, values``: at most ``n`` values in seeded order. Only these are gathered."""
+    """``dataset_id, values``: at most ``n`` values in seeded order, the published bound of a test's sample. Only these are
+    gathered."""
     p = priority(seed, F.col("dataset_id"), F.col(key))
     ranked = cv.select("dataset_id", F.col(value).alias("value"), p.alias("p"), F.row_number().over(Window.partitionBy("dataset_id").orderBy(p, key)).alias("r")).filter(F.col("r") <= n)
     return ranked.groupBy("dataset_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("r", "value"))), lambda x: x["value"]).alias("values"))
@@ -246,6 +248,85 @@ def hotelling_distance(packed: DataFrame, pairs: DataFrame, encode=None, ridge:
     return _on_arrays(packed, pairs, "hotelling", one)
 
 
+def vector_moments(vectors: DataFrame, value: str = "vec", weight: Column | None = None) -> DataFrame:
+    """``dataset_id, n, mean, cross``: count, mean and centred sums of products (row by row) of all vectors of a dataset.
+
+    A vector counts ``weight`` times. Partitions add up counts, sums and products in numpy; only these sums are shuffled, one row for each entry.
+    """
+
+    def run(batches):
+        held: dict[str, list] = {}
+        for batch in batches:
+            ids, times = np.array(batch.column("dataset_id").to_pylist(), dtype=object), batch.column("w").to_numpy()
+            x = batch.column(value).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(batch.num_rows, -1)
+            for name in set(ids.tolist()):
+                own, w = x[ids == name], times[ids == name]
+                part = np.concatenate([[w.sum()], w @ own, (own.T @ (own * w[:, None])).ravel()])
+                held[name] = held[name] + part if name in held else part
+        for name, sums in held.items():
+            yield pa.RecordBatch.from_pydict({"dataset_id": [name] * len(sums), "at": np.arange(len(sums), dtype=np.int32), "total": sums})
+
+    parts = vectors.select("dataset_id", value, (F.lit(1.0) if weight is None else weight.cast("double")).alias("w")).filter(F.col(value).isNotNull()).mapInArrow(run, "dataset_id string, at int, total double")
+    sums = parts.groupBy("dataset_id", "at").agg(F.sum("total").alias("total"))
+    whole = sums.groupBy("dataset_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("at", "total"))), lambda x: x["total"]).alias("s"))
+
+    @F.pandas_udf("struct<n: double, mean: array<double>, cross: array<double>>")
+    def split(s: pd.Series) -> pd.DataFrame:
+        out = []
+        for one in s:
+            one = np.asarray(one)
+            d = int((np.sqrt(4 * len(one) - 3) - 1) / 2)  # 1 + d + d * d entries
+            n, total = one[0], one[1 : d + 1]
+            out.append((n, total / n, one[d + 1 :] - np.outer(total, total).ravel() / n))
+        return pd.DataFrame(out, columns=["n", "mean", "cross"])
+
+    return whole.select("dataset_id", split("s").alias("m")).select("dataset_id", "m.*")
+
+
+def hotelling_of_moments(moments: DataFrame, pairs: DataFrame, ridge: float = 1e-6, output: str = "p") -> DataFrame:
+    """The full-covariance test of every pair, from :func:`vector_moments`: no dataset is sampled."""
+
+    @F.pandas_udf("double")
+    def run(na: pd.Series, ma: pd.Series, ca: pd.Series, nb: pd.Series, mb: pd.Series, cb: pd.Series) -> pd.Series:
+        out = []
+        for n1, m1, c1, n2, m2, c2 in zip(na, ma, ca, nb, mb, cb, strict=True):
+            d = len(m1)
+            t2, p = S.hotelling_moments(n1, np.asarray(m1), np.asarray(c1).reshape(d, d), n2, np.asarray(m2), np.asarray(c2).reshape(d, d), ridge)
+            out.append(1 - p if output == "p" else t2)
+        return pd.Series(out, dtype="float64")
+
+    return _named(_sides(moments, pairs), "hotelling", run("n_a", "mean_a", "cross_a", "n_b", "mean_b", "cross_b"))
+
+
+def smooth_cf_of_histograms(hist: DataFrame, pairs: DataFrame, j: int = 10, seed: int = 13) -> DataFrame:
+    """The smoothed characteristic-function statistic of every pair on whole datasets (``dataset_id, value_num, weight``).
+
+    The features depend on the pair's pooled mean and deviation, so each distinct value meets each of its pairs once; sums
+    are then those of :func:`vector_moments`.
+    """
+    freqs, w, v = test_frequencies(j, seed), F.col("weight").cast("double"), F.col("value_num")
+    first = hist.groupBy("dataset_id").agg(F.sum(w).alias("n"), F.sum(w * v).alias("t"), F.sum(w * v * v).alias("q"))
+    met = _sides(first, pairs).withColumn("pooled", (F.col("t_a") + F.col("t_b")) / (F.col("n_a") + F.col("n_b")))
+    spread = F.sqrt(F.greatest((F.col("q_a") + F.col("q_b")) / (F.col("n_a") + F.col("n_b")) - F.col("pooled") ** 2, F.lit(0.0)))
+    met = met.select(*PAIR, "pooled", F.when(spread > 0, spread).otherwise(F.lit(1.0)).alias("spread"))
+    sides = met.withColumns({"side": F.explode(F.array(F.lit("a"), F.lit("b")))}).withColumn("dataset_id", F.when(F.col("side") == "a", F.col("id_a")).otherwise(F.col("id_b")))
+    z = (v - F.col("pooled")) / F.col("spread")
+    damp = F.exp(-(z * z) / 2)
+    features = F.array(*[damp * f(z * float(x)) for x in freqs for f in (F.sin, F.cos)])
+    key = F.to_json(F.array("id_a", "id_b", "side"))
+    moments = vector_moments(hist.join(sides, "dataset_id").select(key.alias("dataset_id"), features.alias("vec"), "weight"), weight=F.col("weight"))
+    part = F.from_json("dataset_id", "array<string>")
+    moments = moments.select(part[0].alias("id_a"), part[1].alias("id_b"), part[2].alias("side"), "n", "mean", "cross")
+    side = lambda k: moments.filter(F.col("side") == k).select(*PAIR, *[F.col(c).alias(f"{c}_{k}") for c in ("n", "mean", "cross")])
+
+    @F.pandas_udf("double")
+    def run(na: pd.Series, ma: pd.Series, ca: pd.Series, nb: pd.Series, mb: pd.Series, cb: pd.Series) -> pd.Series:
+        rows = zip(na, ma, ca, nb, mb, cb, strict=True)
+        return pd.Series([S.smooth_cf_moments(n1, np.asarray(m1), np.asarray(c1), n2, np.asarray(m2), np.asarray(c2)) for n1, m1, c1, n2, m2, c2 in rows], dtype="float64")
+
+    return _named(side("a").join(side("b"), PAIR), "smooth_cf", run("n_a", "mean_a", "cross_a", "n_b", "mean_b", "cross_b"))
+
+
 def mean_word_vector_distance(packed: DataFrame, pairs: DataFrame, encode) -> DataFrame:
     """Distance of the mean vectors of all fields; each dataset's mean is made once, then pairs meet."""
 

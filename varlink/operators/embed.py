@@ -25,6 +25,8 @@ _STATE = "dataset_id string, sum_h array<double>, sum_g double, sum_sq double, n
 HELD = 2000
 #: Values that pass through the network together.
 BATCH = 2048
+#: Strings of any length are processed whole; a padded batch of them has at most so many characters (one string at least).
+BATCH_CHARS = 1 << 16
 
 
 class NumericEncoder:
@@ -73,10 +75,15 @@ def run_network(net, x) -> tuple[np.ndarray, np.ndarray]:
     n = len(x)
     h, g = np.zeros((n, net.n_out)), np.zeros(n)
     if isinstance(net, CharBiLstm):
-        order = sorted(range(n), key=lambda i: len(x[i]))
-        for at in range(0, n, BATCH):
-            part = order[at : at + BATCH]
+        order, at = sorted(range(n), key=lambda i: len(x[i])), 0
+        while at < n:
+            # as many strings as keep the padded batch within BATCH_CHARS, by the longest of them
+            size = BATCH
+            while size > 1 and size * len(x[order[min(at + size, n) - 1]]) > BATCH_CHARS:
+                size //= 2
+            part = order[at : at + size]
             h[part], g[part] = net.forward(*encode_bytes([x[i] for i in part], net.max_len))
+            at += size
         return h, g
     for at in range(0, n, BATCH):
         h[at : at + BATCH], g[at : at + BATCH] = net.forward_h(x[at : at + BATCH]), net.forward_g(x[at : at + BATCH])

@@ -138,6 +138,14 @@ def smooth_cf(x: np.ndarray, y: np.ndarray, freqs: np.ndarray, ridge: float = 1e
     return float(diff @ np.linalg.solve(sigma, diff))
 
 
+def smooth_cf_moments(n1: float, mean1: np.ndarray, cross1: np.ndarray, n2: float, mean2: np.ndarray, cross2: np.ndarray, ridge: float = 1e-5) -> float:
+    """The same from counts, means and centred sums of products of the features."""
+    d, diff = len(mean1), mean1 - mean2
+    cov = lambda n, c: c.reshape(d, d) / (n - 1) if n > 1 else np.zeros((d, d))
+    sigma = cov(n1, cross1) / n1 + cov(n2, cross2) / n2 + ridge / max(1, min(n1, n2)) * np.eye(d)
+    return float(diff @ np.linalg.solve(sigma, diff))
+
+
 def hotelling(x: np.ndarray, y: np.ndarray, ridge: float = 1e-6, diag: bool = False) -> tuple[float, float]:
     """T-squared of two sets of vectors and its p; chi-square with a ridge where the covariance has no full rank."""
     n1, n2, d = len(x), len(y), x.shape[1]
@@ -148,7 +156,13 @@ def hotelling(x: np.ndarray, y: np.ndarray, ridge: float = 1e-6, diag: bool = Fa
         var = ((cx**2).sum(axis=0) + (cy**2).sum(axis=0)) / dof + ridge
         t2 = n1 * n2 / (n1 + n2) * float((diff * diff / var).sum())
         return t2, chi2_survival(t2, d)
-    s = (cx.T @ cx + cy.T @ cy) / dof
+    return hotelling_moments(n1, x.mean(axis=0), cx.T @ cx, n2, y.mean(axis=0), cy.T @ cy, ridge)
+
+
+def hotelling_moments(n1: float, mean1: np.ndarray, cross1: np.ndarray, n2: float, mean2: np.ndarray, cross2: np.ndarray, ridge: float = 1e-6) -> tuple[float, float]:
+    """The same from counts, means and centred sums of products."""
+    d, diff, dof = len(mean1), mean1 - mean2, max(1, n1 + n2 - 2)
+    s = (cross1 + cross2) / dof
     enough = n1 + n2 > d + 1
     scale = np.trace(s) / d or 1.0
     t2 = n1 * n2 / (n1 + n2) * float(diff @ np.linalg.solve(s + (ridge if enough else 0.1) * scale * np.eye(d), diff))

@@ -169,9 +169,9 @@ def cf_moments(spark, sf_dir):
 
 @query("q24b_smooth_cf")
 def smooth_cf(spark, sf_dir):
-    """The whole test on packed samples."""
-    cv = C.subsample(small_values(spark, sf_dir), 500)
-    return _d(B.smooth_cf_distance(B.pack(cv, n=500), all_pairs(cv)))
+    """The whole test on all values of the few-valued variables, from moments that merge."""
+    hist = C.value_histogram(small_values(spark, sf_dir))
+    return _d(B.smooth_cf_of_histograms(hist, all_pairs(hist)))
 
 
 @query("q25_jaccard", f"WITH {CV}, v AS (SELECT DISTINCT dataset_id, value_num FROM cv), n AS (SELECT dataset_id, count(*) AS u FROM v GROUP BY ALL), s AS (SELECT a.dataset_id AS id_a, b.dataset_id AS id_b, count(*) AS shared FROM v a JOIN v b USING (value_num) WHERE a.dataset_id < b.dataset_id GROUP BY ALL) SELECT a.dataset_id AS id_a, b.dataset_id AS id_b, round(1 - coalesce(shared, 0)::DOUBLE / (a.u + b.u - coalesce(shared, 0)), 4) AS d FROM n a JOIN n b ON a.dataset_id < b.dataset_id LEFT JOIN s ON s.id_a = a.dataset_id AND s.id_b = b.dataset_id")
@@ -208,10 +208,9 @@ def hotelling_diag(spark, sf_dir):
 
 @query("q27b_hotelling_full")
 def hotelling_full(spark, sf_dir):
-    """The full-covariance test on the given vectors as fields."""
+    """The full-covariance test on all given vectors as fields, from moments that merge."""
     e = load_table(spark, sf_dir, "embeddings").select(F.col("label").cast("string").alias("dataset_id"), F.col("vec_id").cast("string").alias("row_key"), F.col("embedding").cast("array<double>").alias("vec"))
-    packed = B.pack(e, "vec")
-    return _d(B.hotelling_distance(packed, all_pairs(e)))
+    return _d(B.hotelling_of_moments(B.vector_moments(e), all_pairs(e)))
 
 
 EDGES = (0.0, 0.02, 0.05, 0.08, 1.0, 5.0, 10.0, 20.0, 30.0, 40.0, 50.0, 1000.0, 5000.0)

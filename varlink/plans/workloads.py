@@ -1,8 +1,9 @@
 """The experiment workloads on the given tables: train on the repository's tables, judge on held-out ones.
 
 Every runner takes ``(spark, sf_dir, cfg)``. Training uses at most ``train_datasets`` packed datasets of at most
-``values`` values each (documented bounds of the fit); embedding, search and measures cover all datasets. Models and
-prepared samples are kept per session and configuration, so workloads that share a model train it once.
+``values`` values each (documented bounds of the fit, the published 1,000 by default); embedding, search and measures
+cover all datasets with all their values, and the two-sample tests take the same ``values`` of each. Models and prepared
+tables are kept per session and configuration, so workloads that share a model train it once.
 """
 
 from __future__ import annotations
@@ -37,13 +38,12 @@ from .repository import FINE, LANGUAGE, STRINGS, apply_unit_shift, flag_datasets
 class Workload:
     """Sizes of a run. The defaults suit one machine; the published sizes are ``paper_sizes()``."""
 
-    values: int = 128
+    values: int = 1000
     train_datasets: int = 2500
     hidden: int = 48
     width: int = 32
     word_width: int = 64
     units: int = 16
-    max_len: int = 24
     per_class: int = 300
     queries: int = 40
     fractions: tuple[float, ...] = (0.25, 1.0)
@@ -52,7 +52,9 @@ class Workload:
     flags: int = 0
     form: str = "bits"
     use_g: bool = True
+    hold: str = ""  # tables whose name begins so are never trained on
     seed: int = 42
+    strings: TrainConfig = field(default_factory=lambda: TrainConfig(step=2e-3, batch=8, steps_per_epoch=20, epochs=12, values=12))  # of the character network
     train: TrainConfig = field(default_factory=lambda: TrainConfig(step=2e-3, batch=32, steps_per_epoch=40, epochs=24, values=48))
 
     def __hash__(self) -> int:
@@ -60,7 +62,7 @@ class Workload:
 
 
 def paper_sizes() -> Workload:
-    return Workload(values=1000, train_datasets=1_000_000, hidden=300, width=300, word_width=300, units=128, max_len=64, per_class=1000, queries=100, fractions=(1 / 16, 1 / 8, 1 / 4, 1 / 2, 1.0), train=TrainConfig(batch=64, steps_per_epoch=31, epochs=50, values=1000))
+    return Workload(values=1000, train_datasets=1_000_000, hidden=300, width=300, word_width=300, units=128, per_class=1000, queries=100, fractions=(1 / 16, 1 / 8, 1 / 4, 1 / 2, 1.0), strings=TrainConfig(batch=64, steps_per_epoch=31, epochs=50, values=1000), train=TrainConfig(batch=64, steps_per_epoch=31, epochs=50, values=1000))
 
 
 _KEPT: dict = {}
@@ -87,7 +89,7 @@ def value_column(kind: str) -> str:
 
 
 def prepare(spark: SparkSession, sf_dir: str, kind: str, cfg: Workload) -> tuple[DataFrame, DataFrame]:
-    """``cv`` (sub-sampled values of all datasets) and ``truth`` with roles, both as written tables."""
+    """``cv`` (all values of all datasets) and ``truth`` with roles, both as written tables."""
 
     def make():
         cv = repository_values(spark, sf_dir, _FAMILIES[kind])
@@ -95,11 +97,14 @@ def prepare(spark: SparkSession, sf_dir: str, kind: str, cfg: Workload) -> tuple
             cv = apply_unit_shift(cv, share=cfg.shift)
             if cfg.flags:
                 cv = cv.unionByName(flag_datasets(spark, sf_dir, cfg.flags))
-        sample = cut(C.subsample(cv, cfg.values, cfg.seed).drop("priority"), "workload-values")
-        t = truth_of(sample)
-        return sample, cut(t.join(G.assign_roles(t, cfg.heldout, cfg.seed), "table_id"), "workload-truth")
+        cv = cut(cv, "workload-values")
+        t = truth_of(cv)
+        roles = G.assign_roles(t, cfg.heldout, cfg.seed)
+        if cfg.hold:
+            roles = roles.withColumn("role", F.when(F.col("table_id").startswith(cfg.hold), "T").otherwise(F.col("role")))
+        return cv, cut(t.join(roles, "table_id"), "workload-truth")
 
-    return _keep((_app(spark), sf_dir, kind, cfg.values, cfg.shift, cfg.flags, cfg.heldout, cfg.seed), make)
+    return _keep((_app(spark), sf_dir, kind, cfg.shift, cfg.flags, cfg.heldout, cfg.hold, cfg.seed), make)
 
 
 def encoder_of(kind: str, cfg: Workload):
@@ -108,7 +113,7 @@ def encoder_of(kind: str, cfg: Workload):
 
 def network_of(kind: str, cfg: Workload):
     if kind == "string":
-        return CharBiLstm(cfg.units, cfg.width, 2, cfg.max_len, 16, cfg.use_g).init(cfg.seed)
+        return CharBiLstm(cfg.units, cfg.width, 2, None, 16, cfg.use_g).init(cfg.seed)
     n_in = encoder_of(kind, cfg).width
     return SetNet(n_in, cfg.hidden, cfg.width, 3, cfg.use_g).init(cfg.seed)
 
@@ -119,7 +124,7 @@ def packed_for_training(spark: SparkSession, sf_dir: str, kind: str, cfg: Worklo
     chosen = truth.filter("role = 'R'").orderBy(priority_bits(cfg.seed, F.col("dataset_id")), "dataset_id").limit(cfg.train_datasets)
     rows = B.pack(cv.join(F.broadcast(chosen.select("dataset_id")), "dataset_id"), value_column(kind), cfg.values).join(chosen, "dataset_id").orderBy("dataset_id").collect()
     encode = encoder_of(kind, cfg)
-    inputs = [list(r["values"]) if kind == "string" else encode(np.array(r["values"]) if kind == "numeric" else r["values"]) for r in rows]
+    inputs = [list(r["values"]) if kind == "string" else encode(np.array(r["values"]) if kind == "numeric" else r["values"]).astype(np.float32) for r in rows]
     return Packed([r["dataset_id"] for r in rows], inputs, [r["variable"] for r in rows], [r["table_id"] for r in rows])
 
 
@@ -127,10 +132,8 @@ def model_of(spark: SparkSession, sf_dir: str, kind: str, cfg: Workload):
     """The network trained for this kind, with its history."""
 
     def make():
-        net, c = network_of(kind, cfg), cfg.train
-        if kind == "string":
-            c = replace(c, batch=8, steps_per_epoch=20, epochs=6, values=12)
-        return net, train(net, packed_for_training(spark, sf_dir, kind, cfg), c)
+        net = network_of(kind, cfg)
+        return net, train(net, packed_for_training(spark, sf_dir, kind, cfg), cfg.strings if kind == "string" else cfg.train)
 
     return _keep((_app(spark), sf_dir, kind, "model", cfg), make)
 
@@ -152,7 +155,7 @@ def baseline_scores(cv: DataFrame, pairs: DataFrame, kind: str, cfg: Workload) -
         parts = [B.mean_sd_packed(packed, pairs), B.ks_packed(packed, pairs), B.mmd_linear(packed, pairs), B.smooth_cf_distance(packed, pairs)]
     else:
         encode = WordEncoder(None, cfg.word_width)
-        parts = [B.jaccard_packed(packed, pairs), B.mean_word_vector_distance(packed, pairs, encode.one), B.hotelling_distance(packed, pairs, encode.one, diag=True)]
+        parts = [B.jaccard_packed(packed, pairs), B.mean_word_vector_distance(packed, pairs, encode.one), B.hotelling_distance(packed, pairs, encode.one)]
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
@@ -192,20 +195,26 @@ def run_pair_classification(spark, sf_dir, kind: str = "numeric", setting: str =
     return out
 
 
-def run_input_ablation(spark, sf_dir, cfg: Workload = Workload()) -> DataFrame:
+def run_input_ablation(spark, sf_dir, cfg: Workload = Workload(), epochs: int = 8) -> DataFrame:
     """Inputs (raw, exponent and mantissa, bits) and bits without adjustment, on a repository rich in look-alikes and on
-    one without: ``flags, variant, setting, auc``."""
-    out = None
+    one without: ``flags, variant, setting, auc``. Every variant trains ``epochs`` epochs; each result is one number and is
+    computed at once, on pairs that are written once for all variants."""
+    rows = []
     for flags in (0, 12):
+        base = replace(cfg, flags=flags, train=replace(cfg.train, epochs=epochs))
+        sides = {}
+        for setting in ("split", "diff"):
+            values, pairs = eval_pairs(spark, sf_dir, "numeric", setting, base)
+            pairs = cut(pairs, "workload-pairs")
+            used = pairs.select(F.explode(F.array("id_a", "id_b")).alias("dataset_id")).distinct()
+            sides[setting] = cut(values.join(used, "dataset_id", "left_semi"), "workload-side"), pairs
         for variant, change in (("raw", {"form": "raw"}), ("exp_mantissa", {"form": "exp_mantissa"}), ("bits", {}), ("bits_no_g", {"use_g": False})):
-            c = replace(cfg, flags=flags, train=replace(cfg.train, epochs=8), **change)
+            c = replace(base, **change)
             net, _ = model_of(spark, sf_dir, "numeric", c)
-            for setting in ("split", "diff"):
-                values, pairs = eval_pairs(spark, sf_dir, "numeric", setting, c)
-                auc = M.roc_auc(score_pairs(vectors_of(values, "numeric", net, c), pairs).join(pairs, ["id_a", "id_b"]))
-                one = auc.select(F.lit(flags).alias("flags"), F.lit(variant).alias("variant"), F.lit(setting).alias("setting"), F.round("auc", 4).alias("auc"))
-                out = one if out is None else out.unionByName(one)
-    return out
+            for setting, (values, pairs) in sides.items():
+                auc = M.roc_auc(score_pairs(vectors_of(values, "numeric", net, c), pairs).join(pairs, ["id_a", "id_b"])).first()["auc"]
+                rows.append((flags, variant, setting, None if auc is None else round(float(auc), 4)))
+    return spark.createDataFrame(rows, "flags int, variant string, setting string, auc double")
 
 
 # ------------------------------------------------------------------ retrieval
@@ -313,7 +322,9 @@ def run_lookalike_flags(spark, sf_dir, cfg: Workload = Workload(), flags: int =
 
 
 def run_example_lookup(spark, sf_dir, cfg: Workload = Workload()) -> DataFrame:
-    """The supplier balances look for their like: ``query_id, rank, dataset_id, table_id, d, p``."""
+    """The supplier balances look for their like: ``query_id, rank, dataset_id, table_id, d, p``. No supplier table is
+    trained on."""
+    cfg = replace(cfg, hold="supplier:")
     net, _ = model_of(spark, sf_dir, "numeric", cfg)
     cv, truth = prepare(spark, sf_dir, "numeric", cfg)
     q = cv.filter("variable = 'acctbal' AND table_id LIKE 'supplier:%'")
@@ -346,7 +357,7 @@ def run_schema_matching(spark, sf_dir, cfg: Workload = Workload(), regions: int
     wide = state_tables(spark, sf_dir).filter(F.col("r_regionkey") < regions)
     key = [F.col(c) for c in ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")]
     long = C.columnize(wide.select(*SCHEMA, "l_orderkey", "r_name"), F.col("r_name"), list(SCHEMA), key)
-    cv = cut(C.subsample(long.withColumn("kind", F.when(F.col("value_num").isNotNull(), "numeric").otherwise("language")), cfg.values, cfg.seed), "workload-schema")
+    cv = cut(long.withColumn("kind", F.when(F.col("value_num").isNotNull(), "numeric").otherwise("language")), "workload-schema")
     text = F.coalesce(F.col("value_str"), F.col("value_num").cast("string"))
     nets = {k: model_of(spark, sf_dir, k, cfg)[0] for k in ("numeric", "language")}
     vec = vectors_of(cv.filter("kind = 'numeric'"), "numeric", nets["numeric"], cfg).unionByName(vectors_of(cv.filter("kind = 'language'"), "language", nets["language"], cfg))
@@ -364,8 +375,10 @@ def run_schema_matching(spark, sf_dir, cfg: Workload = Workload(), regions: int
     return out.select(F.split("group_id", "@")[1].alias("pair"), F.split("group_id", "@")[0].alias("method"), F.round("precision", 4).alias("precision"), "aligned")
 
 
-def run_union_search(spark, sf_dir, cfg: Workload = Workload(), ks: tuple[int, ...] = (1, 5, 10), n_queries: int = 12) -> DataFrame:
-    """Held-out tables look for tables of their family: ``method, k, precision, recall``."""
+def run_union_search(spark, sf_dir, cfg: Workload = Workload(), ks: tuple[int, ...] = (1, 5, 10), n_queries: int = 12, background_share: float = 0.15) -> DataFrame:
+    """Held-out tables (``n_queries`` of them, by hash) look for tables of their family: ``method, k, precision, recall``.
+
+    Tables are ranked by their best c-alignment against the alignments of random tables."""
     net, _ = model_of(spark, sf_dir, "numeric", cfg)
     cv, truth = prepare(spark, sf_dir, "numeric", cfg)
     # a seeded quarter of the columns of every table is dropped, so that tables are partly unionable
@@ -377,19 +390,26 @@ def run_union_search(spark, sf_dir, cfg: Workload = Workload(), ks: tuple[int, .
     queries, repo = v.join(F.broadcast(q), "table_id"), v.filter("role = 'R'")
     near = X.top_k_exact(query_vectors(queries.drop("table_id", "role")), repo, 50)
     tables = near.join(v.select(F.col("dataset_id").alias("query_id"), F.col("table_id").alias("query_table")), "query_id").join(repo.select("dataset_id", "table_id"), "dataset_id")
-    cand = cut(tables.select("query_table", "table_id").distinct(), "workload-candidates")
-    cols = cand.join(v.select(F.col("table_id").alias("query_table"), F.col("dataset_id").alias("id_a")), "query_table").join(v.select("table_id", F.col("dataset_id").alias("id_b")), "table_id")
-    cols = cut(cols, "workload-columns")
-    emb = score_pairs(v, cols.select("id_a", "id_b").distinct())
-    packed = cut(B.pack(cv, n=cfg.values), "workload-packed")
-    some = cols.select("id_a", "id_b").distinct().repartition(spark_slots(cv))
+    found = tables.select("query_table", "table_id").distinct()
+    every = q.select(F.col("table_id").alias("query_table")).crossJoin(repo.select("table_id").distinct())
+    # the background of both methods: query tables with tables drawn by a seeded hash
+    drawn = every.filter(priority(cfg.seed + 8, F.col("query_table"), F.col("table_id")) < background_share)
+    columns = lambda pairs: pairs.join(v.select(F.col("table_id").alias("query_table"), F.col("dataset_id").alias("id_a")), "query_table").join(v.select("table_id", F.col("dataset_id").alias("id_b")), "table_id")
+    cols = cut(columns(every), "workload-columns")
+    ids = cols.select("id_a", "id_b").distinct()
+    emb = score_pairs(v, ids)
+    packed = cut(B.pack(cv.join(part.select("dataset_id"), "dataset_id", "left_semi"), n=cfg.values), "workload-packed")
+    some = ids.repartition(spark_slots(cv))
     base = [cut(f(packed, some), "workload-scores") for f in (B.jaccard_packed, B.ks_packed)]
-    ens = B.ensemble_similarity(base, base)
+    random_ids = cols.join(drawn, ["query_table", "table_id"], "left_semi").select("id_a", "id_b").distinct()
+    ens = B.ensemble_similarity(base, [b.join(random_ids, ["id_a", "id_b"], "left_semi") for b in base])
     out, family = None, lambda c: F.split(c, ":")[0]
     want = q.select(F.col("table_id").alias("query_id")).crossJoin(part.filter("role = 'R'").select(F.col("table_id").alias("dataset_id")).distinct()).filter(family(F.col("query_id")) == family(F.col("dataset_id")))
-    for name, s in (("embedding", emb), ("ensemble", ens)):
-        p = cols.join(s, ["id_a", "id_b"]).select("query_table", "table_id", F.col("id_a").alias("col_a"), F.col("id_b").alias("col_b"), F.exp(-F.col("d")).alias("p"))
-        r = cut(A.union_search(p, max(ks)), "workload-ranked").select(F.col("query_table").alias("query_id"), F.col("table_id").alias("dataset_id"), "rank")
+    # the embedder ranks the tables that its search finds, the ensemble, which has no index, all of them
+    for name, s, tables in (("embedding", emb, found), ("ensemble", ens, every)):
+        p = cut(cols.join(s, ["id_a", "id_b"]).select("query_table", "table_id", F.col("id_a").alias("col_a"), F.col("id_b").alias("col_b"), F.exp(-F.col("d")).alias("p")), "workload-scored")
+        of = lambda pairs, p=p: p.join(pairs, ["query_table", "table_id"], "left_semi")
+        r = cut(A.union_search(of(tables), max(ks), background=of(drawn)), "workload-ranked").select(F.col("query_table").alias("query_id"), F.col("table_id").alias("dataset_id"), "rank")
         one = M.precision_recall_at_k(r, want, ks).select(F.lit(name).alias("method"), "k", F.round("precision", 4).alias("precision"), F.round("recall", 4).alias("recall"))
         out = one if out is None else out.unionByName(one)
     return out
@@ -413,7 +433,7 @@ def run_repository_summary(spark, sf_dir, cfg: Workload = Workload()) -> DataFra
 
 def run_deviation(spark, sf_dir, cfg: Workload = Workload()) -> DataFrame:
     """Sampled against whole distances of the label bags of unit vectors: ``n, eps, rate, bound, draws``."""
-    e = load_table(spark, sf_dir, "embeddings").filter("label < 4").select(F.col("label").cast("string").alias("dataset_id"), F.col("vec_id").cast("string").alias("row_key"), F.col("embedding").cast("array<double>").alias("vec"))
+    e = load_table(spark, sf_dir, "embeddings").select(F.col("label").cast("string").alias("dataset_id"), F.col("vec_id").cast("string").alias("row_key"), F.col("embedding").cast("array<double>").alias("vec"))
     ids = e.select("dataset_id").distinct()
     pairs, out = ids.withColumnRenamed("dataset_id", "id_a").join(ids.withColumnRenamed("dataset_id", "id_b"), F.col("id_a") < F.col("id_b")), None
     for n in (10, 20, 40):
