@@ -474,3 +474,11 @@ def test_probes_reach_their_recall(spark):
     queries = repo.limit(60).withColumnRenamed("dataset_id", "query_id")
     recall = M.index_recall(X.top_k_cells(queries, indexed, centroids, 5), X.top_k_exact(queries, repo, 5), 5).first()["recall"]
     assert probes < 6 and recall >= 0.85
+
+
+def test_numbered(spark):
+    rows = [(f"d{i}", random.Random(i).randrange(50)) for i in range(300)]
+    df = spark.createDataFrame(rows, "dataset_id string, p long").repartition(7)
+    got = {r["dataset_id"]: r for r in G.numbered(df, "p", "dataset_id").collect()}
+    assert [got[d]["i"] for d, _ in sorted(rows, key=lambda r: (r[1], r[0]))] == list(range(1, 301)) and {r["n"] for r in got.values()} == {300}
+    assert G.numbered(df.limit(0), "p", "dataset_id").count() == 0

@@ -69,10 +69,14 @@ def ks_distance(hist: DataFrame, pairs: DataFrame, value: str = "value_num") ->
 
 
 def jaccard_distance(hist: DataFrame, pairs: DataFrame, value: str = "value_num") -> DataFrame:
-    """One minus shared over all distinct values."""
+    """One minus shared over all distinct values.
+
+    Values of either side's datasets meet once, and counts per pair are summed before the shuffle; the list of pairs is
+    joined to these counts and never to the values.
+    """
     sizes = hist.groupBy("dataset_id").agg(F.count("*").alias("u"))
-    side = lambda k: hist.select(F.col("dataset_id").alias(f"id_{k}"), F.col(value).alias("value"))
-    both = pairs.select(*PAIR).join(side("a"), "id_a").join(side("b"), ["id_b", "value"]).groupBy(*PAIR).agg(F.count("*").alias("shared"))
+    side = lambda k: hist.select(F.col("dataset_id").alias(f"id_{k}"), F.col(value).alias("value")).join(pairs.select(f"id_{k}").distinct(), f"id_{k}", "left_semi")
+    both = side("a").join(side("b"), "value").groupBy(*PAIR).agg(F.count("*").alias("shared"))
     s = _sides(sizes, pairs).join(both, PAIR, "left")
     shared = F.coalesce(F.col("shared"), F.lit(0)).cast("double")
     return _named(s, "jaccard", 1 - shared / (F.col("u_a") + F.col("u_b") - shared))

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.sampling import priority, priority_bits
 from ..functions.text import VAGUE_LABELS, jaro_winkler, plain_label, tokenize_label
 from ..functions.vectors import dot, norm
+from ..sources.scratch import cut
 
 
 def drop_vague(truth: DataFrame, stoplist: tuple[str, ...] = VAGUE_LABELS, min_len: int = 3) -> DataFrame:
@@ -84,6 +85,20 @@ def cross_table_pairs(pairs: DataFrame, catalog: DataFrame) -> DataFrame:
     return pairs.join(side("a"), "id_a").join(side("b"), "id_b").filter("table_a <> table_b").drop("table_a", "table_b")
 
 
+def numbered(df: DataFrame, *order: Column | str) -> DataFrame:
+    """``df`` with its place ``i`` (from 1) in the whole ``order`` and the number of rows ``n``.
+
+    Rows are dealt into ranges of the order, written, and counted per range; a row's place is the one in its range plus the
+    rows of the ranges before, so no task sorts all. ``order`` must tell all rows apart.
+    """
+    ranged = cut(df.repartitionByRange(*order).withColumn("range", F.spark_partition_id()), "numbered")
+    sizes = ranged.groupBy("range").agg(F.count("*").alias("rows"))
+    # one row a range
+    before = sizes.withColumns({"before": F.coalesce(F.sum("rows").over(Window.partitionBy(F.lit(1)).orderBy("range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)), "n": F.sum("rows").over(Window.partitionBy(F.lit(1)))})
+    inside = ranged.withColumn("i", F.row_number().over(Window.partitionBy("range").orderBy(*order)))
+    return inside.join(F.broadcast(before.drop("rows")), "range").withColumn("i", F.col("i") + F.col("before")).drop("range", "before")
+
+
 def balanced_pairs(truth: DataFrame, per_class: int, seed: int = 3) -> DataFrame:
     """``id_a, id_b, y``: up to ``per_class`` matched and as many unmatched pairs of datasets of different tables.
 
@@ -91,14 +106,12 @@ def balanced_pairs(truth: DataFrame, per_class: int, seed: int = 3) -> DataFrame
     and datasets a seeded number of places further on; no full pairing is made.
     """
     t = truth.select("dataset_id", "variable", "table_id", priority(seed, F.col("dataset_id")).alias("p"))
-    total = Window.partitionBy(F.lit(1))
     own = t.withColumns({"i": F.row_number().over(Window.partitionBy("variable").orderBy("p", "dataset_id")), "n": F.count("*").over(Window.partitionBy("variable"))})
     steps = F.explode(F.sequence(F.lit(1), F.lit(12))).alias("step")
     a = own.select(F.col("dataset_id").alias("id_a"), F.col("table_id").alias("ta"), "variable", "i", "n", steps).filter("step < n").withColumn("i", (F.col("i") + F.col("step") - 1) % F.col("n") + 1)
     b = own.select(F.col("dataset_id").alias("id_b"), F.col("table_id").alias("tb"), "variable", "i")
     matched = a.join(b, ["variable", "i"]).filter("ta <> tb AND id_a < id_b").select("id_a", "id_b").distinct().withColumn("y", F.lit(1))
-    # the order over all datasets: at most a repository's catalogue, never its values
-    every = t.withColumns({"i": F.row_number().over(Window.orderBy("p", "dataset_id")), "n": F.count("*").over(total)})
+    every = numbered(t, "p", "dataset_id")
     a = every.select(F.col("dataset_id").alias("id_a"), F.col("table_id").alias("ta"), F.col("variable").alias("va"), "i", "n", steps).withColumn("i", (F.col("i") + F.col("step") * F.lit(7) - 1) % F.col("n") + 1)
     b = every.select(F.col("dataset_id").alias("id_b"), F.col("table_id").alias("tb"), F.col("variable").alias("vb"), "i")
     unmatched = a.join(b, "i").filter("ta <> tb AND va <> vb").select(F.least("id_a", "id_b").alias("id_a"), F.greatest("id_a", "id_b").alias("id_b")).distinct().withColumn("y", F.lit(0))
@@ -110,8 +123,7 @@ def sample_triplets(truth: DataFrame, matches: DataFrame, seed: int = 9) -> Data
     """``anchor, positive, negative`` per annotated match: the negative is the dataset a seeded number of places further
     in the catalogue's order that is not annotated as a match of the anchor (unannotated pairs count as unmatched)."""
     both = matches.select(F.col("dataset_a").alias("anchor"), F.col("dataset_b").alias("positive")).unionByName(matches.select(F.col("dataset_b").alias("anchor"), F.col("dataset_a").alias("positive")))
-    order = Window.orderBy(priority_bits(seed, F.col("dataset_id")), "dataset_id")
-    cat = truth.select("dataset_id").distinct().withColumns({"i": F.row_number().over(order), "n": F.count("*").over(Window.partitionBy(F.lit(1)))})
+    cat = numbered(truth.select("dataset_id").distinct().withColumn("p", priority_bits(seed, F.col("dataset_id"))), "p", "dataset_id").drop("p")
     tries = F.explode(F.sequence(F.lit(0), F.lit(7))).alias("try")
     drawn = both.join(cat.withColumnRenamed("dataset_id", "anchor"), "anchor").select("anchor", "positive", "i", "n", tries)
     drawn = drawn.withColumn("i", (F.col("i") + priority_bits(seed + 1, F.col("anchor"), F.col("positive"), F.col("try")) % (F.col("n") - 1)) % F.col("n") + 1)

@@ -515,6 +515,8 @@ for _kind in ("numeric", "language", "string"):
     query(f"w07_split_retrieve_{_kind}")(lambda s, d, k=_kind: run_retrieval(s, d, k, "split"))
     query(f"w08_diff_retrieve_{_kind}")(lambda s, d, k=_kind: run_retrieval(s, d, k, "diff"))
 query("w09_calibrated_recall")(lambda s, d: run_calibrated_recall(s, d))
+query("w09_calibrated_recall_language")(lambda s, d: run_calibrated_recall(s, d, "language", absent=("type", "mktsegment")))
+query("w09_calibrated_recall_string")(lambda s, d: run_calibrated_recall(s, d, "string", absent=("props", "brand")))
 query("w10_lookalike_flags")(lambda s, d: run_lookalike_flags(s, d))
 query("w11_example_lookup")(lambda s, d: run_example_lookup(s, d))
 query("w12_schema_matching")(lambda s, d: run_schema_matching(s, d))
