@@ -101,3 +101,20 @@ def test_core_does_not_need_the_corpus_operators():
     for f in root.rglob("*.py"):
         if "llm" not in f.relative_to(root).parts:
             assert "llm" not in f.read_text(), f
+
+
+def test_schema_matching_trains_on_other_rows(spark, sf_dir):
+    """No row of the aligned tables is among those that the networks are prepared from."""
+    cfg = workloads.replace(SMALL, unseen=3)
+    cv, _ = workloads.prepare(spark, sf_dir, "numeric", cfg)
+    first = lambda family: {r[0] for r in cv.filter(cv.table_id.startswith(f"{family}:")).selectExpr(r"split(row_key, '\\|')[0]").distinct().collect()}
+    wide = workloads.state_tables(spark, sf_dir).filter("r_regionkey < 3 AND p_partkey % 2 = 0")
+    for family, column in (("customer", "c_custkey"), ("orders", "o_orderkey"), ("lineitem", "l_orderkey"), ("part", "p_partkey")):
+        used = {str(r[0]) for r in wide.select(column).distinct().collect()}
+        assert used and first(family) and not used & first(family), family
+
+
+def test_lookup_holds_out_its_queries(spark, sf_dir):
+    """The example's supplier tables are no training tables."""
+    _, truth = workloads.prepare(spark, sf_dir, "numeric", workloads.replace(SMALL, hold="supplier:"))
+    assert {r["role"] for r in truth.filter(truth.table_id.startswith("supplier:")).select("role").distinct().collect()} == {"T"}

@@ -53,6 +53,7 @@ class Workload:
     form: str = "bits"
     use_g: bool = True
     hold: str = ""  # tables whose name begins so are never trained on
+    unseen: int = 0  # regions whose customers, orders and line items are left out, and with them the even parts
     seed: int = 42
     strings: TrainConfig = field(default_factory=lambda: TrainConfig(step=2e-3, batch=8, steps_per_epoch=20, epochs=12, values=12))  # of the character network
     train: TrainConfig = field(default_factory=lambda: TrainConfig(step=2e-3, batch=32, steps_per_epoch=40, epochs=24, values=48))
@@ -88,11 +89,26 @@ def value_column(kind: str) -> str:
     return "value_num" if kind == "numeric" else "value_str"
 
 
+def unseen_rows(spark: SparkSession, sf_dir: str, regions: int) -> DataFrame:
+    """``family, key``: rows that the tables of :func:`state_tables` are made of, by the first part of their row key."""
+    t = lambda n, *c: load_table(spark, sf_dir, n, list(c))
+    home = t("nation", "n_nationkey", "n_regionkey").filter(F.col("n_regionkey") < regions)
+    customers = t("customer", "c_custkey", "c_nationkey").join(F.broadcast(home), F.col("c_nationkey") == F.col("n_nationkey"), "left_semi")
+    orders = t("orders", "o_orderkey", "o_custkey").join(customers, F.col("o_custkey") == F.col("c_custkey"), "left_semi")
+    key = lambda df, name, *families: df.select(F.explode(F.array(*[F.lit(f) for f in families])).alias("family"), F.col(name).cast("string").alias("key"))
+    parts = t("part", "p_partkey").filter("p_partkey % 2 = 0")
+    return key(customers, "c_custkey", "customer").unionByName(key(orders, "o_orderkey", "orders", "lineitem")).unionByName(key(parts, "p_partkey", "part"))
+
+
 def prepare(spark: SparkSession, sf_dir: str, kind: str, cfg: Workload) -> tuple[DataFrame, DataFrame]:
     """``cv`` (all values of all datasets) and ``truth`` with roles, both as written tables."""
 
     def make():
         cv = repository_values(spark, sf_dir, _FAMILIES[kind])
+        if cfg.unseen:
+            gone = unseen_rows(spark, sf_dir, cfg.unseen)
+            here = (F.split("table_id", ":")[0] == F.col("family")) & (F.split("row_key", r"\|")[0] == F.col("key"))
+            cv = cv.join(gone, here, "left_anti")
         if kind == "numeric":
             cv = apply_unit_shift(cv, share=cfg.shift)
             if cfg.flags:
@@ -104,7 +120,7 @@ def prepare(spark: SparkSession, sf_dir: str, kind: str, cfg: Workload) -> tuple
             roles = roles.withColumn("role", F.when(F.col("table_id").startswith(cfg.hold), "T").otherwise(F.col("role")))
         return cv, cut(t.join(roles, "table_id"), "workload-truth")
 
-    return _keep((_app(spark), sf_dir, kind, cfg.shift, cfg.flags, cfg.heldout, cfg.hold, cfg.seed), make)
+    return _keep((_app(spark), sf_dir, kind, cfg.shift, cfg.flags, cfg.heldout, cfg.hold, cfg.unseen, cfg.seed), make)
 
 
 def encoder_of(kind: str, cfg: Workload):
@@ -353,8 +369,12 @@ SCHEMA = ("l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_partkey", "
 
 
 def run_schema_matching(spark, sf_dir, cfg: Workload = Workload(), regions: int = 3) -> DataFrame:
-    """Columns of three regions' tables aligned with names hidden: ``pair, method, precision, aligned``."""
-    wide = state_tables(spark, sf_dir).filter(F.col("r_regionkey") < regions)
+    """Columns of three regions' tables aligned with names hidden: ``pair, method, precision, aligned``.
+
+    The networks are trained on rows that none of these tables has: customers of other regions, their orders and items,
+    and the odd parts, while the tables join the even ones."""
+    cfg = replace(cfg, unseen=regions)
+    wide = state_tables(spark, sf_dir).filter((F.col("r_regionkey") < regions) & (F.col("p_partkey") % 2 == 0))
     key = [F.col(c) for c in ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")]
     long = C.columnize(wide.select(*SCHEMA, "l_orderkey", "r_name"), F.col("r_name"), list(SCHEMA), key)
     cv = cut(long.withColumn("kind", F.when(F.col("value_num").isNotNull(), "numeric").otherwise("language")), "workload-schema")
