@@ -7,6 +7,8 @@ order get the two samples of a pair packed as arrays (bounded by the sub-sample
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
@@ -48,6 +50,19 @@ def _merged(hist: DataFrame, pairs: DataFrame, value: str) -> DataFrame:
     return a.unionByName(b).groupBy(*PAIR, "value").agg(F.sum("wa").alias("wa"), F.sum("wb").alias("wb"))
 
 
+def _shared(hist: DataFrame, pairs: DataFrame, value: str, *sums: Column) -> DataFrame:
+    """Each pair with totals ``n``, squares ``q`` and distinct values ``u`` of both sides, and ``sums`` over the multiplicities
+    ``w_a, w_b`` of shared values (null where none is shared).
+
+    Values of either side's datasets meet once, and sums per pair are made before the shuffle; the list of pairs is joined
+    to these sums and never to the values.
+    """
+    w = F.col("weight").cast("double")
+    sizes = hist.groupBy("dataset_id").agg(F.sum(w).alias("n"), F.sum(w * w).alias("q"), F.count("*").alias("u"))
+    side = lambda k: hist.select(F.col("dataset_id").alias(f"id_{k}"), F.col(value).alias("value"), w.alias(f"w_{k}")).join(pairs.select(f"id_{k}").distinct(), f"id_{k}", "left_semi")
+    return _sides(sizes, pairs).join(side("a").join(side("b"), "value").groupBy(*PAIR).agg(*sums), PAIR, "left")
+
+
 def ks_p(gap: Column, n1: Column, n2: Column) -> Column:
     e = n1 * n2 / (n1 + n2)
     lam = (F.sqrt(e) + 0.12 + F.lit(0.11) / F.sqrt(e)) * gap
@@ -69,15 +84,9 @@ def ks_distance(hist: DataFrame, pairs: DataFrame, value: str = "value_num") ->
 
 
 def jaccard_distance(hist: DataFrame, pairs: DataFrame, value: str = "value_num") -> DataFrame:
-    """One minus shared over all distinct values.
-
-    Values of either side's datasets meet once, and counts per pair are summed before the shuffle; the list of pairs is
-    joined to these counts and never to the values.
-    """
-    sizes = hist.groupBy("dataset_id").agg(F.count("*").alias("u"))
-    side = lambda k: hist.select(F.col("dataset_id").alias(f"id_{k}"), F.col(value).alias("value")).join(pairs.select(f"id_{k}").distinct(), f"id_{k}", "left_semi")
-    both = side("a").join(side("b"), "value").groupBy(*PAIR).agg(F.count("*").alias("shared"))
-    s = _sides(sizes, pairs).join(both, PAIR, "left")
+    """One minus shared over all distinct values."""
+    weighted = hist if "weight" in hist.columns else hist.withColumn("weight", F.lit(1))
+    s = _shared(weighted, pairs, value, F.count("*").alias("shared"))
     shared = F.coalesce(F.col("shared"), F.lit(0)).cast("double")
     return _named(s, "jaccard", 1 - shared / (F.col("u_a") + F.col("u_b") - shared))
 
@@ -90,20 +99,25 @@ def jaccard_minhash(cv_values: DataFrame, pairs: DataFrame, value: str = "value_
 
 
 def likelihood_similarity(hist: DataFrame, pairs: DataFrame, value: str = "value_num", smoothing: float = 1.0) -> DataFrame:
-    """Mean log-likelihood of each side's values under the other's smoothed histogram, both ways averaged and negated."""
-    whole = Window.partitionBy(*PAIR)
-    m = _merged(hist, pairs, value).withColumns({"na": F.sum("wa").over(whole), "nb": F.sum("wb").over(whole), "u": F.count("*").over(whole)})
-    p = lambda w, n: (F.col(w) + smoothing) / (F.col(n) + smoothing * F.col("u"))
-    g = m.groupBy(*PAIR).agg((F.sum(F.col("wa") / F.col("na") * F.log(p("wb", "nb"))) + F.sum(F.col("wb") / F.col("nb") * F.log(p("wa", "na")))).alias("ll"))
-    return _named(g, "likelihood", -F.col("ll") / 2)
+    """Mean log-likelihood of each side's values under the other's smoothed histogram, both ways averaged and negated.
+
+    A value that the other side lacks has the smoothing as its count, so beyond the shared values only totals count.
+    """
+    w = lambda k: F.col(f"w_{k}")
+    log_of = lambda x: F.log(x + smoothing) - math.log(smoothing)
+    s = _shared(hist, pairs, value, F.sum(w("a") * log_of(w("b"))).alias("ab"), F.sum(w("b") * log_of(w("a"))).alias("ba"), F.count("*").alias("shared"))
+    filled = lambda c: F.coalesce(F.col(c), F.lit(0.0))
+    union = F.col("u_a") + F.col("u_b") - filled("shared")
+    one = lambda c, own, other: filled(c) / F.col(own) + math.log(smoothing) - F.log(F.col(other) + smoothing * union)
+    return _named(s, "likelihood", -(one("ab", "n_a", "n_b") + one("ba", "n_b", "n_a")) / 2)
 
 
 def probability_vector_distance(hist: DataFrame, pairs: DataFrame, value: str = "value_num") -> DataFrame:
-    """Euclidean distance of the two vectors of value probabilities."""
-    whole = Window.partitionBy(*PAIR)
-    m = _merged(hist, pairs, value).withColumns({"na": F.sum("wa").over(whole), "nb": F.sum("wb").over(whole)})
-    diff = F.col("wa") / F.col("na") - F.col("wb") / F.col("nb")
-    return _named(m.groupBy(*PAIR).agg(F.sqrt(F.sum(diff * diff)).alias("x")), "probability_vector", "x")
+    """Euclidean distance of the two vectors of value probabilities, from their squares and the product over shared values."""
+    s = _shared(hist, pairs, value, F.sum(F.col("w_a") * F.col("w_b")).alias("cross"))
+    square = lambda k: F.col(f"q_{k}") / F.col(f"n_{k}") / F.col(f"n_{k}")
+    both = F.coalesce(F.col("cross"), F.lit(0.0)) / F.col("n_a") / F.col("n_b")
+    return _named(s, "probability_vector", F.sqrt(F.greatest(square("a") + square("b") - 2 * both, F.lit(0.0))))
 
 
 def bin_of(v: Column, edges: list[float]) -> Column:

@@ -14,18 +14,12 @@ from ..operators import columnize as C
 from ..operators.embed import NumericEncoder, embed_datasets, embed_values, partial_states
 from ..sources.tables import load_table
 from .registry import query
-from .repository import COARSE, SMALL_VARIABLES, repository_values, values_sql
+from .repository import repository_values, values_sql
 
 CV = f"cv AS ({values_sql()})"
-SMALL_CV = f"cv AS ({values_sql(COARSE, SMALL_VARIABLES)})"
 HIDDEN, OUT = 6, 4
 
 
-def small_values(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Datasets of variables with few distinct values."""
-    return repository_values(spark, sf_dir).filter(F.col("variable").isin(*SMALL_VARIABLES))
-
-
 def formula_net(use_g: bool = True) -> SetNet:
     return SetNet(32, HIDDEN, OUT, 3, use_g).init_formula()
 
@@ -48,9 +42,9 @@ g AS (SELECT dataset_id, sum(x * w) / sum(w) AS g FROM hist JOIN g3 USING (v) GR
 scores AS (SELECT a.dataset_id AS id_a, b.dataset_id AS id_b, sum(pow(a.val - b.val, 2)) + any_value(ga.g) + any_value(gb.g) AS d FROM h a JOIN h b ON a.pos = b.pos AND a.dataset_id < b.dataset_id JOIN g ga ON ga.dataset_id = a.dataset_id JOIN g gb ON gb.dataset_id = b.dataset_id GROUP BY ALL)"""
 
 
-def small_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Vectors of the small datasets under the formula network, each distinct value embedded once."""
-    return embed_datasets(C.value_histogram(small_values(spark, sf_dir)), formula_net())
+def formula_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Vectors of all datasets under the formula network, each distinct value embedded once."""
+    return embed_datasets(C.value_histogram(repository_values(spark, sf_dir)), formula_net())
 
 
 def all_scores(vectors: DataFrame) -> DataFrame:
@@ -173,22 +167,22 @@ def first_layer(spark, sf_dir):
     return out.select(F.col("value_num").alias("value"), F.posexplode("h").alias("pos", "x")).select("value", (F.col("pos") + 1).alias("unit"), F.round("x", 4).alias("output"))
 
 
-@query("q10_embed_numeric", f"WITH {SMALL_CV}, {NET} SELECT dataset_id, pos::INTEGER AS pos, round(val, 4) AS val FROM h")
+@query("q10_embed_numeric", f"WITH {CV}, {NET} SELECT dataset_id, pos::INTEGER AS pos, round(val, 4) AS val FROM h")
 def embedded(spark, sf_dir):
-    return small_vectors(spark, sf_dir).select("dataset_id", F.posexplode("h").alias("pos", "val")).select("dataset_id", (F.col("pos") + 1).alias("pos"), F.round("val", 4).alias("val"))
+    return formula_vectors(spark, sf_dir).select("dataset_id", F.posexplode("h").alias("pos", "val")).select("dataset_id", (F.col("pos") + 1).alias("pos"), F.round("val", 4).alias("val"))
 
 
-@query("q11_weighted_pooling", f"WITH {SMALL_CV}, {NET} SELECT dataset_id, count(*)::BIGINT AS n, 0.0::DOUBLE AS gap FROM cv GROUP BY dataset_id")
+@query("q11_weighted_pooling", f"WITH {CV}, {NET} SELECT dataset_id, count(*)::BIGINT AS n, 0.0::DOUBLE AS gap FROM cv GROUP BY dataset_id")
 def weighted_pooling(spark, sf_dir):
     """Pooling every value and pooling distinct values by multiplicity agree."""
-    cv = small_values(spark, sf_dir)
+    cv = repository_values(spark, sf_dir)
     plain, weighted = embed_datasets(cv, formula_net()), embed_datasets(C.value_histogram(cv), formula_net())
     return plain.select("dataset_id", F.col("n_used").alias("n"), F.col("h").alias("h1")).join(weighted.select("dataset_id", "h"), "dataset_id").select("dataset_id", "n", F.abs(F.round(sq_dist(F.col("h1"), F.col("h")), 9)).alias("gap"))
 
 
-@query("q12_adjustment", f"WITH {SMALL_CV}, {NET} SELECT dataset_id, round(g, 4) AS g FROM g")
+@query("q12_adjustment", f"WITH {CV}, {NET} SELECT dataset_id, round(g, 4) AS g FROM g")
 def adjustments(spark, sf_dir):
-    return small_vectors(spark, sf_dir).select("dataset_id", F.round("g", 4).alias("g"))
+    return formula_vectors(spark, sf_dir).select("dataset_id", F.round("g", 4).alias("g"))
 
 
 BAGS = "bag AS (SELECT label, unnest(range(0, len(embedding))) AS pos, unnest(embedding)::DOUBLE AS x FROM embeddings), m AS (SELECT label, pos, avg(x) AS x FROM bag GROUP BY ALL)"
@@ -210,9 +204,9 @@ def pair_distance(spark, sf_dir):
     return bag_pairs(spark, sf_dir).select("label_a", "label_b", F.round(sq_dist(F.col("m_a"), F.col("m_b")), 4).alias("d"))
 
 
-@query("q14_match_score_prob", f"WITH {SMALL_CV}, {NET} SELECT id_a, id_b, round(d, 4) AS d, round(exp(-d), 4) AS p FROM scores")
+@query("q14_match_score_prob", f"WITH {CV}, {NET} SELECT id_a, id_b, round(d, 4) AS d, round(exp(-d), 4) AS p FROM scores")
 def scores(spark, sf_dir):
-    return all_scores(small_vectors(spark, sf_dir)).select("id_a", "id_b", F.round("d", 4).alias("d"), F.round(match_probability(F.col("d")), 4).alias("p"))
+    return all_scores(formula_vectors(spark, sf_dir)).select("id_a", "id_b", F.round("d", 4).alias("d"), F.round(match_probability(F.col("d")), 4).alias("p"))
 
 
 _VARIABLE = "variable AS (SELECT DISTINCT dataset_id, variable FROM cv)"
@@ -224,29 +218,29 @@ def same_variable(df: DataFrame) -> F.Column:
     return (label("id_a") == label("id_b")).cast("int")
 
 
-@query("q15_loss", f"WITH {SMALL_CV}, {NET}, {_VARIABLE}, l AS (SELECT id_a, id_b, d, (a.variable = b.variable)::INTEGER AS y FROM scores JOIN variable a ON a.dataset_id = id_a JOIN variable b ON b.dataset_id = id_b) SELECT id_a, id_b, y, round(CASE WHEN y = 1 THEN d ELSE -ln(1 - exp(-d)) END, 4) AS loss, round(-y * ln(exp(-d)) - (1 - y) * ln(1 - exp(-d)), 4) AS cross_entropy FROM l")
+@query("q15_loss", f"WITH {CV}, {NET}, {_VARIABLE}, l AS (SELECT id_a, id_b, d, (a.variable = b.variable)::INTEGER AS y FROM scores JOIN variable a ON a.dataset_id = id_a JOIN variable b ON b.dataset_id = id_b) SELECT id_a, id_b, y, round(CASE WHEN y = 1 THEN d ELSE -ln(1 - exp(-d)) END, 4) AS loss, round(-y * ln(exp(-d)) - (1 - y) * ln(1 - exp(-d)), 4) AS cross_entropy FROM l")
 def losses(spark, sf_dir):
-    s = all_scores(small_vectors(spark, sf_dir))
+    s = all_scores(formula_vectors(spark, sf_dir))
     s = s.withColumns({"y": same_variable(s), "p": match_probability(F.col("d"))})
     return s.select("id_a", "id_b", "y", F.round(pair_loss(F.col("d"), F.col("y")), 4).alias("loss"), F.round(-F.col("y") * F.log("p") - (1 - F.col("y")) * F.log(1 - F.col("p")), 4).alias("cross_entropy"))
 
 
-@query("q16_search_vectors", f"WITH {SMALL_CV}, {NET} SELECT id_a, id_b, round(d, 4) AS d_search, round(d, 4) AS d_score FROM scores")
+@query("q16_search_vectors", f"WITH {CV}, {NET} SELECT id_a, id_b, round(d, 4) AS d_search, round(d, 4) AS d_score FROM scores")
 def search_identity(spark, sf_dir):
     """The squared distance of search vectors is the score."""
     from ..functions.scores import query_vector
 
-    v = small_vectors(spark, sf_dir)
+    v = formula_vectors(spark, sf_dir)
     a = v.select(F.col("dataset_id").alias("id_a"), query_vector(F.col("h"), F.col("g")).alias("s_a"), F.col("h").alias("h_a"), F.col("g").alias("g_a"))
     b = v.select(F.col("dataset_id").alias("id_b"), F.col("s").alias("s_b"), F.col("h").alias("h_b"), F.col("g").alias("g_b"))
     return a.join(b, F.col("id_a") < F.col("id_b")).select("id_a", "id_b", F.round(sq_dist(F.col("s_a"), F.col("s_b")), 4).alias("d_search"), F.round(match_score(F.col("h_a"), F.col("h_b"), F.col("g_a"), F.col("g_b")), 4).alias("d_score"))
 
 
-@query("q16b_state_merge", f"WITH {SMALL_CV}, {NET} SELECT dataset_id, round(val, 4) AS first_unit FROM h WHERE pos = 1")
+@query("q16b_state_merge", f"WITH {CV}, {NET} SELECT dataset_id, round(val, 4) AS first_unit FROM h WHERE pos = 1")
 def merged_states(spark, sf_dir):
     """States of two halves of the rows, computed apart and added, give the whole's embedding."""
     from ..operators.embed import finalize, merge_states
 
-    cv = C.split_halves(small_values(spark, sf_dir))
+    cv = C.split_halves(repository_values(spark, sf_dir))
     parts = [partial_states(cv.filter(F.col("half") == h), formula_net(), NumericEncoder()) for h in (0, 1)]
     return finalize(merge_states(parts[0].unionByName(parts[1]), OUT)).select("dataset_id", F.round(F.col("h")[0], 4).alias("first_unit"))

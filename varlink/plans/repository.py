@@ -63,8 +63,6 @@ STRINGS = (
     Family("orders", "concat('orders:', o_orderstatus, CAST(year(o_orderdate) AS STRING))", ("o_orderkey",), ("o_orderpriority",)),
     Family("events", "concat('events:', event_type, CAST(day(ts) AS STRING))", ("event_id",), ("props",)),
 )
-#: Variables with few distinct values, for queries that run a network in both engines.
-SMALL_VARIABLES = ("quantity", "discount", "tax", "size", "acctbal", "nationkey")
 
 
 def family_values(spark: SparkSession, sf_dir: str, family: Family) -> DataFrame:
@@ -108,15 +106,14 @@ def _duck(expr: str) -> str:
     return expr.replace("AS STRING", "AS VARCHAR")
 
 
-def values_sql(families: tuple[Family, ...] = COARSE, variables: tuple[str, ...] | None = None) -> str:
+def values_sql(families: tuple[Family, ...] = COARSE) -> str:
     """A select for the numeric datasets of ``families``."""
     parts = []
     for f in families:
         key = ", ".join(f"CAST({k} AS VARCHAR)" for k in f.key)
         for c in f.columns:
             label = c.split("_", 1)[1] if "_" in c and c.split("_", 1)[0].isalpha() else c
-            if variables is None or label in variables:
-                parts.append(f"SELECT concat({_duck(f.shard)}, '.{c}') AS dataset_id, {_duck(f.shard)} AS table_id, '{label}' AS variable, concat_ws('|', {key}) AS row_key, CAST({c} AS DOUBLE) AS value_num FROM {f.table} WHERE {c} IS NOT NULL")
+            parts.append(f"SELECT concat({_duck(f.shard)}, '.{c}') AS dataset_id, {_duck(f.shard)} AS table_id, '{label}' AS variable, concat_ws('|', {key}) AS row_key, CAST({c} AS DOUBLE) AS value_num FROM {f.table} WHERE {c} IS NOT NULL")
     return " UNION ALL ".join(parts)
 
 

@@ -15,7 +15,7 @@ from ..operators import measures as M
 from ..operators import search as X
 from ..operators import truth as G
 from ..sources.tables import load_table
-from .dataset_queries import BAGS, CV, NET, SMALL_CV, all_scores, bag_pairs, same_variable, small_values, small_vectors
+from .dataset_queries import BAGS, CV, NET, all_scores, bag_pairs, formula_vectors, same_variable
 from .registry import query
 from .repository import repository_values, role_sql, truth_of
 
@@ -109,16 +109,16 @@ def approx_stats(spark, sf_dir):
 
 _KS_E = "(n1 * n2 / (n1 + n2))"
 _LAM = f"((sqrt({_KS_E}) + 0.12 + 0.11 / sqrt({_KS_E})) * gap)"
-_SMALL_HIST = "hist AS (SELECT dataset_id, value_num AS v, count(*)::DOUBLE AS w FROM cv GROUP BY ALL), ids AS (SELECT DISTINCT dataset_id FROM hist), pairs AS (SELECT a.dataset_id AS id_a, b.dataset_id AS id_b FROM ids a JOIN ids b ON a.dataset_id < b.dataset_id)"
+_HIST = "hist AS (SELECT dataset_id, value_num AS v, count(*)::DOUBLE AS w FROM cv GROUP BY ALL), ids AS (SELECT DISTINCT dataset_id FROM hist), pairs AS (SELECT a.dataset_id AS id_a, b.dataset_id AS id_b FROM ids a JOIN ids b ON a.dataset_id < b.dataset_id)"
 _MERGED = "m AS (SELECT id_a, id_b, v, sum(wa) AS wa, sum(wb) AS wb FROM (SELECT id_a, id_b, v, w AS wa, 0.0::DOUBLE AS wb FROM pairs JOIN hist ON dataset_id = id_a UNION ALL SELECT id_a, id_b, v, 0.0::DOUBLE, w FROM pairs JOIN hist ON dataset_id = id_b) GROUP BY ALL), t AS (SELECT *, sum(wa) OVER p AS na, sum(wb) OVER p AS nb, count(*) OVER p AS u FROM m WINDOW p AS (PARTITION BY id_a, id_b))"
 
 
 @query(
     "q21_ks",
-    f"WITH {SMALL_CV}, {_SMALL_HIST}, {_MERGED}, c AS (SELECT *, abs(sum(wa) OVER r / na - sum(wb) OVER r / nb) AS g FROM t WINDOW r AS (PARTITION BY id_a, id_b ORDER BY v)), k AS (SELECT id_a, id_b, max(g) AS gap, any_value(na) AS n1, any_value(nb) AS n2 FROM c GROUP BY ALL), l AS (SELECT *, {_LAM} AS lam FROM k) SELECT id_a, id_b, round(gap, 4) AS gap, round(CASE WHEN lam < 0.2 THEN 1.0 ELSE least(1.0, greatest(0.0, (SELECT sum(CASE WHEN j % 2 = 1 THEN 2.0 ELSE -2.0 END * exp(-2.0 * j * j * lam * lam)) FROM range(1, 101) t(j)))) END, 4) AS p FROM l",
+    f"WITH {CV}, {_HIST}, {_MERGED}, c AS (SELECT *, abs(sum(wa) OVER r / na - sum(wb) OVER r / nb) AS g FROM t WINDOW r AS (PARTITION BY id_a, id_b ORDER BY v)), k AS (SELECT id_a, id_b, max(g) AS gap, any_value(na) AS n1, any_value(nb) AS n2 FROM c GROUP BY ALL), l AS (SELECT *, {_LAM} AS lam FROM k) SELECT id_a, id_b, round(gap, 4) AS gap, round(CASE WHEN lam < 0.2 THEN 1.0 ELSE least(1.0, greatest(0.0, (SELECT sum(CASE WHEN j % 2 = 1 THEN 2.0 ELSE -2.0 END * exp(-2.0 * j * j * lam * lam)) FROM range(1, 101) t(j)))) END, 4) AS p FROM l",
 )
 def ks(spark, sf_dir):
-    h = C.value_histogram(small_values(spark, sf_dir))
+    h = C.value_histogram(repository_values(spark, sf_dir))
     return B.ks_gap(h, all_pairs(h)).select("id_a", "id_b", F.round("gap", 4).alias("gap"), F.round("p", 4).alias("p"))
 
 
@@ -170,7 +170,7 @@ def cf_moments(spark, sf_dir):
 @query("q24b_smooth_cf")
 def smooth_cf(spark, sf_dir):
     """The whole test on all values of the few-valued variables, from moments that merge."""
-    hist = C.value_histogram(small_values(spark, sf_dir))
+    hist = C.value_histogram(repository_values(spark, sf_dir))
     return _d(B.smooth_cf_of_histograms(hist, all_pairs(hist)))
 
 
@@ -217,21 +217,21 @@ EDGES = (0.0, 0.02, 0.05, 0.08, 1.0, 5.0, 10.0, 20.0, 30.0, 40.0, 50.0, 1000.0,
 _BIN = " + ".join(f"(value_num >= {e})::INTEGER" for e in EDGES)
 
 
-@query("q28_histogram_distance", f"WITH cv0 AS (SELECT * FROM ({SMALL_CV[len('cv AS ('):-1]})), cv AS (SELECT dataset_id, ({_BIN})::DOUBLE AS value_num FROM cv0), {_SMALL_HIST}, {_MERGED} SELECT id_a, id_b, round(sqrt(sum(pow(wa / na - wb / nb, 2))), 4) AS d FROM t GROUP BY ALL")
+@query("q28_histogram_distance", f"WITH cv0 AS (SELECT * FROM ({CV[len('cv AS ('):-1]})), cv AS (SELECT dataset_id, ({_BIN})::DOUBLE AS value_num FROM cv0), {_HIST}, {_MERGED} SELECT id_a, id_b, round(sqrt(sum(pow(wa / na - wb / nb, 2))), 4) AS d FROM t GROUP BY ALL")
 def histogram_distance(spark, sf_dir):
-    cv = small_values(spark, sf_dir)
+    cv = repository_values(spark, sf_dir)
     return _d(B.histogram_distance(cv, all_pairs(cv), list(EDGES)))
 
 
-@query("q28b_probability_vector", f"WITH {SMALL_CV}, {_SMALL_HIST}, {_MERGED} SELECT id_a, id_b, round(sqrt(sum(pow(wa / na - wb / nb, 2))), 4) AS d FROM t GROUP BY ALL")
+@query("q28b_probability_vector", f"WITH {CV}, {_HIST}, {_MERGED} SELECT id_a, id_b, round(sqrt(sum(pow(wa / na - wb / nb, 2))), 4) AS d FROM t GROUP BY ALL")
 def probability_vectors(spark, sf_dir):
-    h = C.value_histogram(small_values(spark, sf_dir))
+    h = C.value_histogram(repository_values(spark, sf_dir))
     return _d(B.probability_vector_distance(h, all_pairs(h)))
 
 
-@query("q28c_likelihood", f"WITH {SMALL_CV}, {_SMALL_HIST}, {_MERGED} SELECT id_a, id_b, round(-(sum(wa / na * ln((wb + 1) / (nb + u))) + sum(wb / nb * ln((wa + 1) / (na + u)))) / 2, 4) AS d FROM t GROUP BY ALL")
+@query("q28c_likelihood", f"WITH {CV}, {_HIST}, {_MERGED} SELECT id_a, id_b, round(-(sum(wa / na * ln((wb + 1) / (nb + u))) + sum(wb / nb * ln((wa + 1) / (na + u)))) / 2, 4) AS d FROM t GROUP BY ALL")
 def likelihoods(spark, sf_dir):
-    h = C.value_histogram(small_values(spark, sf_dir))
+    h = C.value_histogram(repository_values(spark, sf_dir))
     return _d(B.likelihood_similarity(h, all_pairs(h)))
 
 
@@ -313,15 +313,15 @@ _AUC = "SELECT method, round(sum(pos * (tot - cum + neg / 2)) / (sum(pos) * sum(
 
 @query(
     "q34_auc",
-    f"WITH {SMALL_CV}, {NET}, {_STATS}, tb AS (SELECT a.dataset_id AS id_a, b.dataset_id AS id_b, (a.variable = b.variable)::INTEGER AS y, abs(a.m - b.m) + abs(a.sd - b.sd) AS ms FROM st a JOIN st b ON a.dataset_id < b.dataset_id AND a.table_id <> b.table_id), sc AS (SELECT 'mean_sd' AS method, round(ms, 6) AS d, y FROM tb UNION ALL SELECT 'embedding', round(s.d, 6), y FROM tb JOIN scores s USING (id_a, id_b)) {_AUC}",
+    f"WITH {CV}, {NET}, {_STATS}, tb AS (SELECT a.dataset_id AS id_a, b.dataset_id AS id_b, (a.variable = b.variable)::INTEGER AS y, abs(a.m - b.m) + abs(a.sd - b.sd) AS ms FROM st a JOIN st b ON a.dataset_id < b.dataset_id AND a.table_id <> b.table_id), sc AS (SELECT 'mean_sd' AS method, round(ms, 6) AS d, y FROM tb UNION ALL SELECT 'embedding', round(s.d, 6), y FROM tb JOIN scores s USING (id_a, id_b)) {_AUC}",
 )
 def auc(spark, sf_dir):
     """Pairs of datasets of different tables, scored by moments and by the formula network."""
-    cv = small_values(spark, sf_dir)
+    cv = repository_values(spark, sf_dir)
     tables = F.split("id_a", r"\.")[0] != F.split("id_b", r"\.")[0]
     pairs = all_pairs(cv).filter(tables)
     ms = B.mean_sd_distance(cv, pairs)
-    emb = all_scores(small_vectors(spark, sf_dir)).join(pairs, ["id_a", "id_b"]).select("id_a", "id_b", F.lit("embedding").alias("method"), "d")
+    emb = all_scores(formula_vectors(spark, sf_dir)).join(pairs, ["id_a", "id_b"]).select("id_a", "id_b", F.lit("embedding").alias("method"), "d")
     scored = ms.unionByName(emb)
     scored = scored.select("method", F.round("d", 6).alias("d"), same_variable(scored).alias("y"))
     return M.roc_auc(scored, ["method"]).select("method", F.round("auc", 4).alias("auc"))
@@ -347,19 +347,19 @@ def matches(spark, sf_dir):
 
 @query(
     "q36_calibrated_recall",
-    f"WITH {SMALL_CV}, {NET}, vr AS (SELECT DISTINCT dataset_id, variable FROM cv), sc AS (SELECT a.variable AS va, b.variable AS vb, id_a, round(exp(-d), 6) AS p FROM scores JOIN vr a ON a.dataset_id = id_a JOIN vr b ON b.dataset_id = id_b), best AS (SELECT id_a, max(p) AS p FROM sc WHERE va <> vb GROUP BY id_a), mt AS (SELECT p FROM sc WHERE va = vb) SELECT round(avg(share), 4) AS recall, count(*) AS queries FROM (SELECT best.id_a, avg((mt.p > best.p)::INTEGER) AS share FROM best, mt GROUP BY best.id_a)",
+    f"WITH {CV}, {NET}, vr AS (SELECT DISTINCT dataset_id, variable FROM cv), sc AS (SELECT a.variable AS va, b.variable AS vb, id_a, round(exp(-d), 6) AS p FROM scores JOIN vr a ON a.dataset_id = id_a JOIN vr b ON b.dataset_id = id_b), best AS (SELECT id_a, max(p) AS p FROM sc WHERE va <> vb GROUP BY id_a), mt AS (SELECT p FROM sc WHERE va = vb) SELECT round(avg(share), 4) AS recall, count(*) AS queries FROM (SELECT best.id_a, avg((mt.p > best.p)::INTEGER) AS share FROM best, mt GROUP BY best.id_a)",
 )
 def recall(spark, sf_dir):
     """Every dataset as a query without match (its own variable left out) sets a threshold."""
-    s = all_scores(small_vectors(spark, sf_dir))
+    s = all_scores(formula_vectors(spark, sf_dir))
     s = s.withColumns({"y": same_variable(s), "p": F.round(match_probability(F.col("d")), 6)})
     r = M.calibrated_recall(s.filter("y = 1"), s.filter("y = 0").select(F.col("id_a").alias("query_id"), "p"))
     return r.select(F.round("recall", 4).alias("recall"), "queries")
 
 
-@query("q37_recalibrate", f"WITH {SMALL_CV}, {NET}, vr AS (SELECT DISTINCT dataset_id, variable FROM cv), s AS (SELECT id_a, id_b, exp(-d) AS p, avg((a.variable = b.variable)::INTEGER) OVER () AS rate FROM scores JOIN vr a ON a.dataset_id = id_a JOIN vr b ON b.dataset_id = id_b) SELECT id_a, id_b, round(p / (1 - p) * rate / (1 - rate) / (1 + p / (1 - p) * rate / (1 - rate)), 4) AS p_prior, round(least(1.0, p / 0.8), 4) AS p_pu FROM s")
+@query("q37_recalibrate", f"WITH {CV}, {NET}, vr AS (SELECT DISTINCT dataset_id, variable FROM cv), s AS (SELECT id_a, id_b, exp(-d) AS p, avg((a.variable = b.variable)::INTEGER) OVER () AS rate FROM scores JOIN vr a ON a.dataset_id = id_a JOIN vr b ON b.dataset_id = id_b) SELECT id_a, id_b, round(p / (1 - p) * rate / (1 - rate) / (1 + p / (1 - p) * rate / (1 - rate)), 4) AS p_prior, round(least(1.0, p / 0.8), 4) AS p_pu FROM s")
 def recalibrated(spark, sf_dir):
-    s = all_scores(small_vectors(spark, sf_dir))
+    s = all_scores(formula_vectors(spark, sf_dir))
     s = s.withColumns({"p": match_probability(F.col("d")), "y": same_variable(s)})
     rate = s.agg(F.avg("y").alias("rate"))
     return s.crossJoin(F.broadcast(rate)).select("id_a", "id_b", F.round(recalibrate_prior(F.col("p"), F.col("rate")), 4).alias("p_prior"), F.round(recalibrate_pu(F.col("p"), 0.8), 4).alias("p_pu"))
@@ -372,16 +372,16 @@ def bounds(spark, sf_dir):
     return grid.select(F.col("n").cast("long").alias("n"), "eps", "b", F.round(deviation_bound(F.col("n"), F.col("eps"), F.col("b")), 6).alias("bound"), needed.cast("long").alias("needed"))
 
 
-@query("q39_top_adjustment", f"WITH {SMALL_CV}, {NET}, tp AS (SELECT dataset_id, g FROM g ORDER BY g DESC, dataset_id LIMIT 10), b AS (SELECT dataset_id, v, w, sum(w) OVER (PARTITION BY dataset_id) AS n, row_number() OVER (PARTITION BY dataset_id ORDER BY w DESC, v) AS r FROM hist) SELECT dataset_id, round(g, 4) AS g, v AS top_value, round(w / n, 4) AS top_share FROM tp JOIN b USING (dataset_id) WHERE r = 1")
+@query("q39_top_adjustment", f"WITH {CV}, {NET}, tp AS (SELECT dataset_id, g FROM g ORDER BY g DESC, dataset_id LIMIT 10), b AS (SELECT dataset_id, v, w, sum(w) OVER (PARTITION BY dataset_id) AS n, row_number() OVER (PARTITION BY dataset_id ORDER BY w DESC, v) AS r FROM hist) SELECT dataset_id, round(g, 4) AS g, v AS top_value, round(w / n, 4) AS top_share FROM tp JOIN b USING (dataset_id) WHERE r = 1")
 def adjusted(spark, sf_dir):
-    h = C.value_histogram(small_values(spark, sf_dir))
-    t = M.top_adjustment(small_vectors(spark, sf_dir), h, 10)
+    h = C.value_histogram(repository_values(spark, sf_dir))
+    t = M.top_adjustment(formula_vectors(spark, sf_dir), h, 10)
     return t.select("dataset_id", F.round("g", 4).alias("g"), "top_value", F.round("top_share", 4).alias("top_share"))
 
 
-@query("q46_label_combo", f"WITH {SMALL_CV}, {NET}, lb AS (SELECT id_a, id_b, exp(-d) AS p, jaro_winkler_similarity(string_split(id_a, '.')[-1], string_split(id_b, '.')[-1]) AS s FROM scores), o AS (SELECT *, least(greatest(p, 1e-6), 1 - 1e-6) AS pv, least(greatest(s, 1e-6), 1 - 1e-6) AS pl FROM lb) SELECT id_a, id_b, round(1 / (1 + exp(-(0.5 * ln(pv / (1 - pv)) + 0.5 * ln(pl / (1 - pl))))), 4) AS p FROM o")
+@query("q46_label_combo", f"WITH {CV}, {NET}, lb AS (SELECT id_a, id_b, exp(-d) AS p, jaro_winkler_similarity(string_split(id_a, '.')[-1], string_split(id_b, '.')[-1]) AS s FROM scores), o AS (SELECT *, least(greatest(p, 1e-6), 1 - 1e-6) AS pv, least(greatest(s, 1e-6), 1 - 1e-6) AS pl FROM lb) SELECT id_a, id_b, round(1 / (1 + exp(-(0.5 * ln(pv / (1 - pv)) + 0.5 * ln(pl / (1 - pl))))), 4) AS p FROM o")
 def label_combo(spark, sf_dir):
-    s = all_scores(small_vectors(spark, sf_dir))
+    s = all_scores(formula_vectors(spark, sf_dir))
     last = lambda c: F.element_at(F.split(F.col(c), r"\."), -1)
     named = s.withColumns({"la": last("id_a"), "lb": last("id_b")})
     return named.select("id_a", "id_b", F.round(combine_scores(match_probability(F.col("d")), jaro_winkler("la", "lb")), 4).alias("p"))

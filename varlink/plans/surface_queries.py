@@ -15,7 +15,7 @@ from ..operators import measures as M
 from ..operators import search as X
 from ..sources.tables import load_table
 from ..streaming import states as ST
-from .dataset_queries import _PLAIN, _TEXT_CTE, _VOCAB, _WORDS, NET, SMALL_CV, all_scores, small_vectors, text_values
+from .dataset_queries import _PLAIN, _TEXT_CTE, _VOCAB, _WORDS, CV, NET, all_scores, formula_vectors, text_values
 from .registry import query
 from .repository import repository_values
 from .score_queries import BANDWIDTH, _K, vectors
@@ -24,12 +24,12 @@ from .score_queries import BANDWIDTH, _K, vectors
 
 
 def _prob_sql(extra: str = "") -> str:
-    return f"WITH {SMALL_CV}, {NET}, both_ways AS (SELECT id_a, id_b, d FROM scores UNION ALL SELECT id_b, id_a, d FROM scores), pr AS (SELECT string_split(id_a, '.')[1] AS ta, string_split(id_b, '.')[1] AS tb, id_a AS col_a, id_b AS col_b, round(exp(-d), 6) AS p FROM both_ways){extra}"
+    return f"WITH {CV}, {NET}, both_ways AS (SELECT id_a, id_b, d FROM scores UNION ALL SELECT id_b, id_a, d FROM scores), pr AS (SELECT string_split(id_a, '.')[1] AS ta, string_split(id_b, '.')[1] AS tb, id_a AS col_a, id_b AS col_b, round(exp(-d), 6) AS p FROM both_ways){extra}"
 
 
 def column_probabilities(spark, sf_dir) -> DataFrame:
     """``ta, tb, col_a, col_b, p`` for columns of different tables, both ways."""
-    s = all_scores(small_vectors(spark, sf_dir)).select("id_a", "id_b", F.round(F.exp(-F.col("d")), 6).alias("p"))
+    s = all_scores(formula_vectors(spark, sf_dir)).select("id_a", "id_b", F.round(F.exp(-F.col("d")), 6).alias("p"))
     both = s.unionByName(s.select(F.col("id_b").alias("id_a"), F.col("id_a").alias("id_b"), "p"))
     return both.select(F.split("id_a", r"\.")[0].alias("ta"), F.split("id_b", r"\.")[0].alias("tb"), F.col("id_a").alias("col_a"), F.col("id_b").alias("col_b"), "p").filter("ta <> tb")
 
@@ -196,10 +196,10 @@ def annotations(spark, sf_dir):
     return X.lookup_annotations(X.merge_top_k(p, 5), catalog).select("query_id", "key", "value", F.round("support", 4).alias("support"))
 
 
-@query("q57_sql_surface", f"WITH {SMALL_CV}, {NET} SELECT id_a, id_b, round(d, 4) AS d, round(exp(-d), 4) AS p FROM scores")
+@query("q57_sql_surface", f"WITH {CV}, {NET} SELECT id_a, id_b, round(d, 4) AS d, round(exp(-d), 4) AS p FROM scores")
 def sql_surface(spark, sf_dir):
     """The scores through registered SQL functions and views."""
-    register(spark, vectors=small_vectors(spark, sf_dir).select("dataset_id", "h", "g"))
+    register(spark, vectors=formula_vectors(spark, sf_dir).select("dataset_id", "h", "g"))
     return spark.sql("SELECT a.dataset_id AS id_a, b.dataset_id AS id_b, round(match_score(a.h, b.h, a.g, b.g), 4) AS d, round(match_probability(match_score(a.h, b.h, a.g, b.g)), 4) AS p FROM vectors a JOIN vectors b ON a.dataset_id < b.dataset_id")
 
 
