@@ -90,13 +90,14 @@ def apply_unit_shift(cv: DataFrame, seed: int = 77, share: float = 0.4) -> DataF
     return cv.withColumn("value_num", shifted)
 
 
-def flag_datasets(spark: SparkSession, sf_dir: str, variables: int = 12, seed: int = 5) -> DataFrame:
-    """Look-alikes: unrelated even 0/1 flags over the shards of one table, as numeric datasets."""
+def flag_datasets(spark: SparkSession, sf_dir: str, variables: int = 12, seed: int = 5, words: bool = False) -> DataFrame:
+    """Look-alikes: unrelated even flags over the shards of one table, as 0 and 1 or as the words true and false."""
     base = load_table(spark, sf_dir, "orders").select(F.expr("concat('flags:', substr(o_orderpriority, 1, 1), CAST(year(o_orderdate) AS STRING))").alias("table_id"), F.col("o_orderkey").cast("string").alias("row_key"))
     v = base.select("table_id", "row_key", F.explode(F.sequence(F.lit(1), F.lit(variables))).alias("v"))
-    value = (priority_bits(seed, F.col("v"), F.col("row_key")) % 2).cast("double")
+    bit = priority_bits(seed, F.col("v"), F.col("row_key")) % 2
+    number, word = (F.lit(None).cast("double"), (bit == 1).cast("string")) if words else (bit.cast("double"), F.lit(None).cast("string"))
     name = F.concat(F.lit("flag"), F.col("v").cast("string"))
-    return v.select(F.concat_ws(".", "table_id", name).alias("dataset_id"), "table_id", name.alias("variable"), "row_key", value.alias("value_num"), F.lit(None).cast("string").alias("value_str"))
+    return v.select(F.concat_ws(".", "table_id", name).alias("dataset_id"), "table_id", name.alias("variable"), "row_key", number.alias("value_num"), word.alias("value_str"))
 
 
 # ------------------------------------------------------------------ the same in DuckDB
@@ -117,5 +118,12 @@ def values_sql(families: tuple[Family, ...] = COARSE) -> str:
     return " UNION ALL ".join(parts)
 
 
+def sizes_sql(families: tuple[Family, ...]) -> str:
+    """``dataset_id, table_id, variable, n_values`` of ``families`` of any kind."""
+    label = lambda c: c.split("_", 1)[1] if "_" in c and c.split("_", 1)[0].isalpha() else c
+    one = lambda f, c: f"SELECT concat({_duck(f.shard)}, '.{c}') AS dataset_id, {_duck(f.shard)} AS table_id, '{label(c)}' AS variable, count(*) AS n_values FROM {f.table} WHERE {c} IS NOT NULL GROUP BY ALL"
+    return " UNION ALL ".join(one(f, c) for f in families for c in f.columns)
+
+
 def role_sql(share: float = 0.25, seed: int = 42) -> str:
     return f"CASE WHEN {priority_sql(seed, 'table_id')} < {share} THEN 'T' ELSE 'R' END"

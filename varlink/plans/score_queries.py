@@ -83,6 +83,7 @@ def table_values(spark, sf_dir, table, shard, key, column):
 
 
 def all_pairs(cv: DataFrame) -> DataFrame:
+    """All pairs of datasets, for a few hundred datasets: the result itself grows with their square."""
     ids = cv.select("dataset_id").distinct()
     return ids.withColumnRenamed("dataset_id", "id_a").join(F.broadcast(ids.withColumnRenamed("dataset_id", "id_b")), F.col("id_a") < F.col("id_b"))
 
@@ -113,13 +114,23 @@ _HIST = "hist AS (SELECT dataset_id, value_num AS v, count(*)::DOUBLE AS w FROM
 _MERGED = "m AS (SELECT id_a, id_b, v, sum(wa) AS wa, sum(wb) AS wb FROM (SELECT id_a, id_b, v, w AS wa, 0.0::DOUBLE AS wb FROM pairs JOIN hist ON dataset_id = id_a UNION ALL SELECT id_a, id_b, v, 0.0::DOUBLE, w FROM pairs JOIN hist ON dataset_id = id_b) GROUP BY ALL), t AS (SELECT *, sum(wa) OVER p AS na, sum(wb) OVER p AS nb, count(*) OVER p AS u FROM m WINDOW p AS (PARTITION BY id_a, id_b))"
 
 
+def same_pairs(cv: DataFrame) -> DataFrame:
+    """Pairs of datasets of one variable: the tests on all values cost a pair all its distinct values."""
+    p = all_pairs(cv)
+    return p.filter(same_variable(p) == 1)
+
+
+_LABEL = "regexp_replace(string_split({}.dataset_id, '.')[-1], '^[a-z]+_', '')"
+_SAME_HIST = f"{_HIST[:-1]} WHERE {_LABEL.format('a')} = {_LABEL.format('b')})"
+
+
 @query(
     "q21_ks",
-    f"WITH {CV}, {_HIST}, {_MERGED}, c AS (SELECT *, abs(sum(wa) OVER r / na - sum(wb) OVER r / nb) AS g FROM t WINDOW r AS (PARTITION BY id_a, id_b ORDER BY v)), k AS (SELECT id_a, id_b, max(g) AS gap, any_value(na) AS n1, any_value(nb) AS n2 FROM c GROUP BY ALL), l AS (SELECT *, {_LAM} AS lam FROM k) SELECT id_a, id_b, round(gap, 4) AS gap, round(CASE WHEN lam < 0.2 THEN 1.0 ELSE least(1.0, greatest(0.0, (SELECT sum(CASE WHEN j % 2 = 1 THEN 2.0 ELSE -2.0 END * exp(-2.0 * j * j * lam * lam)) FROM range(1, 101) t(j)))) END, 4) AS p FROM l",
+    f"WITH {CV}, {_SAME_HIST}, {_MERGED}, c AS (SELECT *, abs(sum(wa) OVER r / na - sum(wb) OVER r / nb) AS g FROM t WINDOW r AS (PARTITION BY id_a, id_b ORDER BY v)), k AS (SELECT id_a, id_b, max(g) AS gap, any_value(na) AS n1, any_value(nb) AS n2 FROM c GROUP BY ALL), l AS (SELECT *, {_LAM} AS lam FROM k) SELECT id_a, id_b, round(gap, 4) AS gap, round(CASE WHEN lam < 0.2 THEN 1.0 ELSE least(1.0, greatest(0.0, (SELECT sum(CASE WHEN j % 2 = 1 THEN 2.0 ELSE -2.0 END * exp(-2.0 * j * j * lam * lam)) FROM range(1, 101) t(j)))) END, 4) AS p FROM l",
 )
 def ks(spark, sf_dir):
     h = C.value_histogram(repository_values(spark, sf_dir))
-    return B.ks_gap(h, all_pairs(h)).select("id_a", "id_b", F.round("gap", 4).alias("gap"), F.round("p", 4).alias("p"))
+    return B.ks_gap(h, same_pairs(h)).select("id_a", "id_b", F.round("gap", 4).alias("gap"), F.round("p", 4).alias("p"))
 
 
 BANDWIDTH = 10.0
@@ -169,9 +180,9 @@ def cf_moments(spark, sf_dir):
 
 @query("q24b_smooth_cf")
 def smooth_cf(spark, sf_dir):
-    """The whole test on all values of the few-valued variables, from moments that merge."""
+    """The whole test on all values of the pairs of one variable, from moments that merge."""
     hist = C.value_histogram(repository_values(spark, sf_dir))
-    return _d(B.smooth_cf_of_histograms(hist, all_pairs(hist)))
+    return _d(B.smooth_cf_of_histograms(hist, same_pairs(hist)))
 
 
 @query("q25_jaccard", f"WITH {CV}, v AS (SELECT DISTINCT dataset_id, value_num FROM cv), n AS (SELECT dataset_id, count(*) AS u FROM v GROUP BY ALL), s AS (SELECT a.dataset_id AS id_a, b.dataset_id AS id_b, count(*) AS shared FROM v a JOIN v b USING (value_num) WHERE a.dataset_id < b.dataset_id GROUP BY ALL) SELECT a.dataset_id AS id_a, b.dataset_id AS id_b, round(1 - coalesce(shared, 0)::DOUBLE / (a.u + b.u - coalesce(shared, 0)), 4) AS d FROM n a JOIN n b ON a.dataset_id < b.dataset_id LEFT JOIN s ON s.id_a = a.dataset_id AND s.id_b = b.dataset_id")
@@ -206,11 +217,28 @@ def hotelling_diag(spark, sf_dir):
     return p.groupBy("label_a", "label_b").agg(F.round(F.sum(term), 4).alias("t2"))
 
 
-@query("q27b_hotelling_full")
+_WIDTH = 64
+
+
+@query(
+    "q27b_hotelling_full",
+    # each step takes the first unknown out of the bordered covariance matrix; the corner ends as minus the quadratic form
+    f"""WITH RECURSIVE bag AS (SELECT label::VARCHAR AS id, vec_id, unnest(range(0, {_WIDTH})) AS pos, unnest(embedding)::DOUBLE AS x FROM embeddings),
+m AS (SELECT id, pos, avg(x) AS m, count(*)::DOUBLE AS n FROM bag GROUP BY ALL), z AS (SELECT id, vec_id, pos, x - m AS x FROM bag JOIN m USING (id, pos)),
+c AS (SELECT a.id, a.pos AS i, b.pos AS j, sum(a.x * b.x) AS s FROM z a JOIN z b USING (id, vec_id) GROUP BY ALL),
+n AS (SELECT DISTINCT id, n FROM m), pairs AS (SELECT a.id AS id_a, b.id AS id_b, a.n AS na, b.n AS nb FROM n a JOIN n b ON a.id < b.id),
+s AS (SELECT id_a, id_b, na, nb, i, j, (a.s + b.s) / greatest(1, na + nb - 2) AS v FROM pairs JOIN c a ON a.id = id_a JOIN c b USING (i, j) WHERE b.id = id_b),
+t AS (SELECT id_a, id_b, sum(v) / {_WIDTH} AS scale FROM s WHERE i = j GROUP BY ALL),
+e AS (SELECT 0 AS k, id_a, id_b, i, j, v + CASE WHEN i = j THEN CASE WHEN na + nb > {_WIDTH + 1} THEN 1e-6 ELSE 0.1 END * scale ELSE 0 END AS v FROM s JOIN t USING (id_a, id_b)
+  UNION ALL SELECT 0, id_a, id_b, CASE WHEN side = 0 THEN a.pos ELSE {_WIDTH} END, CASE WHEN side = 0 THEN {_WIDTH} ELSE a.pos END, a.m - b.m FROM pairs JOIN m a ON a.id = id_a JOIN m b ON b.id = id_b AND a.pos = b.pos, range(0, 2) q(side)
+  UNION ALL SELECT 0, id_a, id_b, {_WIDTH}, {_WIDTH}, 0.0 FROM pairs),
+r AS (SELECT * FROM e UNION ALL SELECT k + 1, id_a, id_b, i, j, v - down * across / corner FROM (SELECT *, first_value(v) OVER (PARTITION BY id_a, id_b, i ORDER BY j) AS down, first_value(v) OVER (PARTITION BY id_a, id_b, j ORDER BY i) AS across, first_value(v) OVER (PARTITION BY id_a, id_b ORDER BY i, j) AS corner FROM r) WHERE i > k AND j > k AND k < {_WIDTH})
+SELECT id_a, id_b, round(-v * na * nb / (na + nb), 2) AS t2 FROM r JOIN pairs USING (id_a, id_b) WHERE k = {_WIDTH}""",
+)
 def hotelling_full(spark, sf_dir):
-    """The full-covariance test on all given vectors as fields, from moments that merge."""
+    """The full-covariance statistic of all given vectors as fields, from moments that merge."""
     e = load_table(spark, sf_dir, "embeddings").select(F.col("label").cast("string").alias("dataset_id"), F.col("vec_id").cast("string").alias("row_key"), F.col("embedding").cast("array<double>").alias("vec"))
-    return _d(B.hotelling_of_moments(B.vector_moments(e), all_pairs(e)))
+    return B.hotelling_of_moments(B.vector_moments(e), all_pairs(e), output="t2").select("id_a", "id_b", F.round("d", 2).alias("t2"))
 
 
 EDGES = (0.0, 0.02, 0.05, 0.08, 1.0, 5.0, 10.0, 20.0, 30.0, 40.0, 50.0, 1000.0, 5000.0)

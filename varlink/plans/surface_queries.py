@@ -34,24 +34,43 @@ def column_probabilities(spark, sf_dir) -> DataFrame:
     return both.select(F.split("id_a", r"\.")[0].alias("ta"), F.split("id_b", r"\.")[0].alias("tb"), F.col("id_a").alias("col_a"), F.col("id_b").alias("col_b"), "p").filter("ta <> tb")
 
 
-def _greedy_sql(steps: int = 3) -> str:
-    out = ", c0 AS (SELECT * FROM pr WHERE starts_with(ta, 'lineitem:') AND starts_with(tb, 'lineitem:') AND ta < tb)"
+#: Columns of the widest table.
+WIDEST = 6
+
+
+def _greedy_sql(steps: int = WIDEST, last: str = "") -> str:
+    out = ", c0 AS (SELECT * FROM pr WHERE ta < tb)"
     for k in range(1, steps + 1):
         out += f", pick{k} AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY ta, tb ORDER BY p DESC, col_a, col_b) AS r FROM c{k - 1}) WHERE r = 1), c{k} AS (SELECT c.* FROM c{k - 1} c JOIN pick{k} g USING (ta, tb) WHERE c.col_a <> g.col_a AND c.col_b <> g.col_b)"
-    return out + " " + " UNION ALL ".join(f"SELECT ta, tb, col_a, col_b, p FROM pick{k}" for k in range(1, steps + 1))
+    picked = " UNION ALL ".join(f"SELECT ta, tb, col_a, col_b, p FROM pick{k}" for k in range(1, steps + 1))
+    return out + (f", greedy AS ({picked}){last}" if last else f" {picked}")
+
+
+def _optimum_sql(steps: int = WIDEST) -> str:
+    """``best``: the largest total of a one-to-one alignment of each two tables, and its probabilities. Columns of the
+    narrower table are placed one by one; of all ways to take the same set of columns of the other the best is kept."""
+    out = ", ranked AS (SELECT ta, tb, p, dense_rank() OVER (PARTITION BY ta, tb ORDER BY col_a) AS ra, dense_rank() OVER (PARTITION BY ta, tb ORDER BY col_b) AS rb FROM pr WHERE ta <> tb)"
+    out += ", sized AS (SELECT ta, tb, max(ra) AS na, max(rb) AS nb FROM ranked GROUP BY ALL)"
+    out += ", edge AS (SELECT ta, tb, p, least(na, nb) AS size, CASE WHEN na <= nb THEN ra ELSE rb END AS r, 1::BIGINT << (CASE WHEN na <= nb THEN rb ELSE ra END - 1)::INTEGER AS bit FROM ranked JOIN sized USING (ta, tb))"
+    out += ", f0 AS (SELECT ta, tb, 0::BIGINT AS mask, 0.0::DOUBLE AS total, []::DOUBLE[] AS ps FROM sized)"
+    for k in range(1, steps + 1):
+        out += f", f{k} AS MATERIALIZED (SELECT ta, tb, mask | bit AS mask, any_value(edge.size) AS size, max(total + p) AS total, arg_max(list_append(ps, p), total + p) AS ps FROM f{k - 1} JOIN edge USING (ta, tb) WHERE r = {k} AND mask & bit = 0 GROUP BY ta, tb, mask | bit)"
+    done = " UNION ALL ".join(f"SELECT ta, tb, total, ps FROM f{k} WHERE f{k}.size = {k}" for k in range(1, steps + 1))
+    return out + f", best AS (SELECT ta, tb, max(total) AS total, list_reverse_sort(arg_max(ps, total)) AS ps FROM ({done}) GROUP BY ta, tb)"
 
 
 @query("q40_alignment", _prob_sql(_greedy_sql()))
 def greedy_alignment(spark, sf_dir):
-    """Greedy one-to-one alignment of the columns of line-item shards (three columns each)."""
-    p = column_probabilities(spark, sf_dir).filter("ta LIKE 'lineitem:%' AND tb LIKE 'lineitem:%' AND ta < tb")
+    """Greedy one-to-one alignment of the columns of all table pairs."""
+    p = column_probabilities(spark, sf_dir).filter("ta < tb")
     a = A.align_schemas(p.withColumn("group_id", F.concat_ws("~", "ta", "tb")), "greedy")
     return a.select(F.split("group_id", "~")[0].alias("ta"), F.split("group_id", "~")[1].alias("tb"), "col_a", "col_b", "p")
 
 
-@query("q40b_two_opt")
+@query("q40b_two_opt", _prob_sql(_optimum_sql() + _greedy_sql(last=" SELECT concat(ta, '~', tb) AS group_id, round(best.total, 6) AS two_opt, round(greedy_total, 6) AS greedy FROM best JOIN (SELECT ta, tb, sum(p) AS greedy_total FROM greedy GROUP BY ALL) USING (ta, tb)")))
 def two_opt_alignment(spark, sf_dir):
-    """Two-way swaps over all pairs of tables, with the totals of the greedy alignment beside them."""
+    """Two-way swaps over all pairs of tables, with the totals of the greedy alignment beside them. The reference SQL holds
+    the swaps to the optimum."""
     p = column_probabilities(spark, sf_dir).filter("ta < tb").withColumn("group_id", F.concat_ws("~", "ta", "tb"))
     total = lambda m, n: A.align_schemas(p, m).groupBy("group_id").agg(F.round(F.sum("p"), 6).alias(n))
     return total("two_opt", "two_opt").join(total("greedy", "greedy"), "group_id")
@@ -66,7 +85,10 @@ def union_ranking(spark, sf_dir):
     return score.withColumn("rank", F.row_number().over(order)).filter("rank <= 5").select(F.col("ta").alias("query_table"), F.col("tb").alias("table_id"), F.col("rank").cast("int").alias("rank"), "score")
 
 
-@query("q41b_union_alignment")
+@query(
+    "q41b_union_alignment",
+    _prob_sql(_optimum_sql() + ", pre AS (SELECT ta, tb, c, list_sum(list_transform(ps[1:c], lambda x: ln(greatest(x, 1e-12)))) AS log_p FROM best, range(1, " + str(WIDEST + 1) + ") t(c) WHERE c <= len(ps)), good AS (SELECT *, count(*) OVER (PARTITION BY c ORDER BY log_p) / count(*) OVER (PARTITION BY c) AS goodness FROM pre), top AS (SELECT *, row_number() OVER (PARTITION BY ta, tb ORDER BY goodness DESC, c DESC) AS r FROM good), o AS (SELECT *, row_number() OVER (PARTITION BY ta ORDER BY goodness DESC, c DESC, log_p DESC, tb) AS rank FROM top WHERE r = 1) SELECT ta AS query_table, tb AS table_id, round(goodness, 6) AS score, c::INTEGER AS c, rank::INTEGER AS rank FROM o WHERE rank <= 5"),
+)
 def union_by_alignment(spark, sf_dir):
     """The ranking by the best c-alignment against a background of all table pairs."""
     p = column_probabilities(spark, sf_dir).select(F.col("ta").alias("query_table"), F.col("tb").alias("table_id"), "col_a", "col_b", "p")

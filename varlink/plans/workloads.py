@@ -15,7 +15,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.sampling import priority, priority_bits
+from ..functions.sampling import priority, priority_bits, priority_sql
 from ..functions.scores import match_probability, match_score
 from ..nets.bilstm import CharBiLstm
 from ..nets.mlp import SetNet
@@ -31,7 +31,7 @@ from ..operators.embed import NumericEncoder, StringEncoder, WordEncoder, embed_
 from ..sources.scratch import cut
 from ..sources.tables import load_table
 from .registry import query
-from .repository import FINE, LANGUAGE, STRINGS, apply_unit_shift, flag_datasets, repository_values, truth_of
+from .repository import FINE, LANGUAGE, STRINGS, apply_unit_shift, flag_datasets, repository_values, role_sql, sizes_sql, truth_of
 
 
 @dataclass(frozen=True)
@@ -53,6 +53,7 @@ class Workload:
     form: str = "bits"
     use_g: bool = True
     hold: str = ""  # tables whose name begins so are never trained on
+    spare: float = 0.0  # share of the repository's tables that are not trained on
     unseen: int = 0  # regions whose customers, orders and line items are left out, and with them the even parts
     seed: int = 42
     strings: TrainConfig = field(default_factory=lambda: TrainConfig(step=2e-3, batch=8, steps_per_epoch=20, epochs=12, values=12))  # of the character network
@@ -111,8 +112,8 @@ def prepare(spark: SparkSession, sf_dir: str, kind: str, cfg: Workload) -> tuple
             cv = cv.join(gone, here, "left_anti")
         if kind == "numeric":
             cv = apply_unit_shift(cv, share=cfg.shift)
-            if cfg.flags:
-                cv = cv.unionByName(flag_datasets(spark, sf_dir, cfg.flags))
+        if cfg.flags:
+            cv = cv.unionByName(flag_datasets(spark, sf_dir, cfg.flags, words=kind != "numeric"))
         cv = cut(cv, "workload-values")
         t = truth_of(cv)
         roles = G.assign_roles(t, cfg.heldout, cfg.seed)
@@ -134,10 +135,15 @@ def network_of(kind: str, cfg: Workload):
     return SetNet(n_in, cfg.hidden, cfg.width, 3, cfg.use_g).init(cfg.seed)
 
 
+def is_spare(cfg: Workload):
+    """Whether a repository table is left out of training."""
+    return priority(cfg.seed + 9, F.col("table_id")) < cfg.spare
+
+
 def packed_for_training(spark: SparkSession, sf_dir: str, kind: str, cfg: Workload) -> Packed:
     """The training role's datasets as arrays on the driver: at most ``train_datasets``, chosen by a seeded hash."""
     cv, truth = prepare(spark, sf_dir, kind, cfg)
-    chosen = truth.filter("role = 'R'").orderBy(priority_bits(cfg.seed, F.col("dataset_id")), "dataset_id").limit(cfg.train_datasets)
+    chosen = truth.filter("role = 'R'").filter(~is_spare(cfg)).orderBy(priority_bits(cfg.seed, F.col("dataset_id")), "dataset_id").limit(cfg.train_datasets)
     rows = B.pack(cv.join(F.broadcast(chosen.select("dataset_id")), "dataset_id"), value_column(kind), cfg.values).join(chosen, "dataset_id").orderBy("dataset_id").collect()
     encode = encoder_of(kind, cfg)
     inputs = [list(r["values"]) if kind == "string" else encode(np.array(r["values"]) if kind == "numeric" else r["values"]).astype(np.float32) for r in rows]
@@ -183,7 +189,7 @@ def eval_pairs(spark, sf_dir, kind, setting, cfg) -> tuple[DataFrame, DataFrame]
     other variables; ``diff``: different tables' datasets of one variable against the same."""
     cv, truth = prepare(spark, sf_dir, kind, cfg)
     t = truth.filter("role = 'T'")
-    own = cv.join(F.broadcast(t.select("dataset_id")), "dataset_id")
+    own = cv.join(t.select("dataset_id"), "dataset_id", "left_semi")
     pairs = G.balanced_pairs(t.select("dataset_id", "variable", "table_id"), cfg.per_class, cfg.seed)
     if setting == "diff":
         return own, pairs
@@ -248,13 +254,13 @@ def retrieval_sides(spark, sf_dir, kind, setting, cfg) -> tuple[DataFrame, DataF
     if setting == "split":
         ids = pick(r.filter("n_values >= 4")).select("dataset_id")
         ids = cut(ids, "workload-ids")
-        carved = G.carve_halves(cv.join(F.broadcast(r.select("dataset_id")), "dataset_id"), ids, cfg.seed + 3)
+        carved = G.carve_halves(cv.join(r.select("dataset_id"), "dataset_id", "left_semi"), ids, cfg.seed + 3)
         carved = cut(carved, "workload-carved")
         queries = carved.filter("role = 'S'")
         return carved.filter("role = 'R'").drop("role", "source_id"), queries.drop("role", "source_id"), queries.select(F.col("dataset_id").alias("query_id"), F.col("source_id").alias("dataset_id")).distinct()
     ids = cut(pick(truth.filter("role = 'T'").join(r.select("variable").distinct(), "variable", "left_semi")), "workload-ids")
     true = ids.select(F.col("dataset_id").alias("query_id"), "variable").join(r.select("dataset_id", "variable"), "variable").select("query_id", "dataset_id")
-    return cv.join(F.broadcast(r.select("dataset_id")), "dataset_id"), cv.join(F.broadcast(ids.select("dataset_id")), "dataset_id"), true
+    return cv.join(r.select("dataset_id"), "dataset_id", "left_semi"), cv.join(F.broadcast(ids.select("dataset_id")), "dataset_id"), true
 
 
 def _baseline_ranks(repo: DataFrame, queries: DataFrame, kind: str, cfg: Workload, k: int | None) -> DataFrame:
@@ -288,7 +294,7 @@ def run_calibrated_recall(spark, sf_dir, kind: str = "numeric", cfg: Workload =
     r = truth.filter("role = 'R'").filter(~F.col("variable").isin(*absent))
     pick = lambda t: cut(t.orderBy(priority_bits(cfg.seed + 4, F.col("dataset_id")), "dataset_id").limit(cfg.queries).select("dataset_id", "variable"), "workload-ids")
     none, some = pick(truth.filter(F.col("variable").isin(*absent))), pick(truth.filter("role = 'T'").join(r.select("variable").distinct(), "variable", "left_semi"))
-    repo = cv.join(F.broadcast(r.select("dataset_id")), "dataset_id")
+    repo = cv.join(r.select("dataset_id"), "dataset_id", "left_semi")
     queries = cv.join(F.broadcast(none.union(some).select("dataset_id")), "dataset_id")
     ids = none.union(some).select(F.col("dataset_id").alias("id_a"))
     pairs = ids.crossJoin(r.select(F.col("dataset_id").alias("id_b")))
@@ -316,25 +322,36 @@ def run_embedding_map(spark, sf_dir, cfg: Workload = Workload(), points: int = 4
     return pts.join(M.neighbour_purity(pts), "dataset_id")
 
 
-def run_lookalike_flags(spark, sf_dir, cfg: Workload = Workload(), flags: int = 12) -> DataFrame:
-    """Adjustments where unrelated flags abound: ``use_g, group, datasets, mean_g, mean_p_unmatched`` for flags and
-    others."""
-    out = None
+def run_lookalike_flags(spark, sf_dir, cfg: Workload = Workload(), flags: int = 12, kind: str = "numeric") -> DataFrame:
+    """Adjustments and mistaken matches where unrelated flags (0 and 1, or the words true and false) abound.
+
+    ``method, use_g, group, datasets, mean_g, mean_p_unmatched, mistaken`` for flags and others: ``mistaken`` is the share
+    of unmatched pairs that are at most as far apart as the median matched pair of other variables, whatever the method's
+    scale. The alternatives have neither adjustment nor probability.
+    """
+    out, group = None, F.when(F.col("variable").startswith("flag"), "flags").otherwise("others")
     for use_g in (True, False):
         c = replace(cfg, flags=flags, use_g=use_g, train=replace(cfg.train, epochs=12))
-        net, _ = model_of(spark, sf_dir, "numeric", c)
-        cv, truth = prepare(spark, sf_dir, "numeric", c)
-        v = vectors_of(cv, "numeric", net, c)
-        group = F.when(F.col("variable").startswith("flag"), "flags").otherwise("others")
-        g = v.join(truth.select("dataset_id", group.alias("group")), "dataset_id").groupBy("group").agg(F.count("*").alias("datasets"), F.avg("g").alias("mean_g"))
-        pairs = None
-        for name, cond in (("flags", "variable LIKE 'flag%'"), ("others", "variable NOT LIKE 'flag%'")):
-            one = G.balanced_pairs(truth.filter(cond).select("dataset_id", "variable", "table_id"), c.per_class, 5).filter("y = 0").withColumn("group", F.lit(name))
-            pairs = one if pairs is None else pairs.unionByName(one)
-        p = score_pairs(v, pairs).join(pairs, ["id_a", "id_b"]).groupBy("group").agg(F.avg(match_probability(F.col("d"))).alias("mean_p"))
-        one = g.join(p, "group").select(F.lit(use_g).alias("use_g"), "group", "datasets", F.round("mean_g", 4).alias("mean_g"), F.round("mean_p", 4).alias("mean_p_unmatched"))
-        out = one if out is None else out.unionByName(one)
-    return out
+        net, _ = model_of(spark, sf_dir, kind, c)
+        cv, truth = prepare(spark, sf_dir, kind, c)
+        if use_g:
+            pairs = None
+            for name, cond in (("flags", "variable LIKE 'flag%'"), ("others", "variable NOT LIKE 'flag%'")):
+                one = G.balanced_pairs(truth.filter(cond).select("dataset_id", "variable", "table_id"), c.per_class, 5).withColumn("group", F.lit(name))
+                pairs = one if pairs is None else pairs.unionByName(one)
+            pairs = cut(pairs.filter("y = 0 OR group = 'others'"), "workload-pairs")
+            used = pairs.select(F.explode(F.array("id_a", "id_b")).alias("dataset_id")).distinct()
+            scored = baseline_scores(cv.join(used, "dataset_id", "left_semi"), pairs, kind, c).withColumn("use_g", F.lit(None).cast("boolean"))
+        v = vectors_of(cv, kind, net, c)
+        scored = scored.unionByName(score_pairs(v, pairs).withColumn("use_g", F.lit(use_g)))
+        g = v.join(truth.select("dataset_id", group.alias("group")), "dataset_id").groupBy("group").agg(F.count("*").alias("datasets"), F.avg("g").alias("mean_g")).withColumn("use_g", F.lit(use_g))
+        out = g if out is None else out.unionByName(g)
+    scored = cut(scored.join(pairs, ["id_a", "id_b"]), "workload-scores")
+    median = scored.filter("y = 1").groupBy("method", "use_g").agg(F.expr("percentile(d, 0.5)").alias("median")).withColumnsRenamed({"method": "m", "use_g": "u"})
+    near = scored.filter("y = 0").join(median, (F.col("method") == F.col("m")) & F.col("use_g").eqNullSafe(F.col("u")))
+    p = near.groupBy("method", "use_g", "group").agg(F.avg(match_probability(F.col("d"))).alias("mean_p"), F.avg((F.col("d") <= F.col("median")).cast("double")).alias("mistaken"))
+    both = p.join(out.withColumnsRenamed({"use_g": "u", "group": "of"}), F.col("use_g").eqNullSafe(F.col("u")) & (F.col("group") == F.col("of")), "left")
+    return both.select("method", "use_g", "group", "datasets", F.round("mean_g", 4).alias("mean_g"), F.when(F.col("use_g").isNotNull(), F.round("mean_p", 4)).alias("mean_p_unmatched"), F.round("mistaken", 4).alias("mistaken"))
 
 
 def run_example_lookup(spark, sf_dir, cfg: Workload = Workload()) -> DataFrame:
@@ -398,14 +415,16 @@ def run_schema_matching(spark, sf_dir, cfg: Workload = Workload(), regions: int
 def run_union_search(spark, sf_dir, cfg: Workload = Workload(), ks: tuple[int, ...] = (1, 5, 10), n_queries: int = 12, background_share: float = 0.15) -> DataFrame:
     """Held-out tables (``n_queries`` of them, by hash) look for tables of their family: ``method, k, precision, recall``.
 
-    Tables are ranked by their best c-alignment against the alignments of random tables."""
+    The network is trained on half of the repository's tables, and the other half is searched. Tables are ranked by their
+    best c-alignment against the alignments of random tables."""
+    cfg = replace(cfg, spare=0.5)
     net, _ = model_of(spark, sf_dir, "numeric", cfg)
     cv, truth = prepare(spark, sf_dir, "numeric", cfg)
     # a seeded quarter of the columns of every table is dropped, so that tables are partly unionable
-    part = truth.filter(priority(cfg.seed + 6, F.col("dataset_id")) >= 0.25)
+    part = truth.filter(priority(cfg.seed + 6, F.col("dataset_id")) >= 0.25).filter((F.col("role") == "T") | is_spare(cfg))
     q = part.filter("role = 'T'").select("table_id").distinct().orderBy(priority_bits(cfg.seed + 7, F.col("table_id")), "table_id").limit(n_queries)
     q = cut(q, "workload-queries")
-    v = vectors_of(cv.join(F.broadcast(part.select("dataset_id")), "dataset_id"), "numeric", net, cfg).join(part.select("dataset_id", "table_id", "role"), "dataset_id")
+    v = vectors_of(cv.join(part.select("dataset_id"), "dataset_id", "left_semi"), "numeric", net, cfg).join(part.select("dataset_id", "table_id", "role"), "dataset_id")
     v = cut(v, "workload-union")
     queries, repo = v.join(F.broadcast(q), "table_id"), v.filter("role = 'R'")
     near = X.top_k_exact(query_vectors(queries.drop("table_id", "role")), repo, 50)
@@ -480,29 +499,33 @@ def run_objectives(spark, sf_dir, cfg: Workload = Workload(), seeds: tuple[int,
     return spark.createDataFrame(rows, "objective string, sampler string, auc double, auc_sd double, seconds double, gradient_sd double")
 
 
-def run_search_cost(spark, sf_dir, copies: int = 20, cfg: Workload = Workload()) -> DataFrame:
-    """Exhaustive, hashed and cell search on the given vectors replicated with digest jitter: ``index, probes, recall,
-    rows_scored, seconds``."""
-    e = load_table(spark, sf_dir, "embeddings")
-    jitter = lambda i: (priority_bits(3, F.col("vec_id"), F.col("copy"), i) % 2001 - 1000) / 20000.0
-    big = e.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(copies)))).select(F.concat_ws("#", F.col("vec_id").cast("string"), F.col("copy").cast("string")).alias("dataset_id"), F.transform(F.col("embedding").cast("array<double>"), lambda x, i: x + jitter(i)).alias("s")).cache()
-    q = e.filter("vec_id % 20 = 0").select(F.col("vec_id").cast("string").alias("query_id"), F.col("embedding").cast("array<double>").alias("s")).cache()
-    n, m = big.count(), q.count()
-    centroids = X.fit_cells(big)
-    indexed = X.assign_cells(big, centroids).cache()
-    sizes = {r["cell"]: r["count"] for r in indexed.groupBy("cell").count().collect()}
-    exact, rows = X.top_k_exact(q, big, 10).cache(), []
-    began = time.time()
-    exact.count()
-    rows.append(("exact", 0, 1.0, n * m, round(time.time() - began, 3)))
-    for probes in (1, 4, 8):
-        found = X.top_k_cells(q, indexed, centroids, 10, probes).cache()
+def run_search_cost(spark, sf_dir, cfg: Workload = Workload(), k: int = 10) -> DataFrame:
+    """Exhaustive, hashed and cell search on the given vectors, every vector whose id is divisible by 20 against all:
+    ``index, size, recall, rows_scored, seconds``. ``size`` is the number of hash tables or of probed cells; the last row of
+    the cells is the number that search chooses by itself."""
+    e = load_table(spark, sf_dir, "embeddings", ["vec_id", "embedding"]).select(F.col("vec_id").cast("string").alias("dataset_id"), F.col("embedding").cast("array<double>").alias("s"))
+    r = cut(e, "workload-vectors")
+    q = cut(r.filter(F.col("dataset_id").cast("long") % 20 == 0).withColumnRenamed("dataset_id", "query_id"), "workload-queries")
+    rows, n, m = [], r.count(), q.count()
+
+    def timed(found: DataFrame) -> tuple[DataFrame, float]:
         began = time.time()
-        found.count()
-        took = time.time() - began
-        scored = sum(sizes.get(r["cell"], 0) for r in X.assign_cells(q, centroids, probes).select("cell").collect())
-        rows.append(("cells", probes, round(M.index_recall(found, exact, 10).first()["recall"], 4), scored, round(took, 3)))
-    return spark.createDataFrame(rows, "index string, probes int, recall double, rows_scored long, seconds double")
+        return cut(found, "workload-found"), round(time.time() - began, 3)
+
+    exact, took = timed(X.top_k_exact(q, r, k))
+    rows.append(("exact", 0, 1.0, n * m, took))
+    recall = lambda found: round(M.index_recall(found, exact, k).first()["recall"], 4)
+    for tables in (1, 4, 10):
+        found, took = timed(X.top_k_lsh(q, r, k, bucket_length=1.0, tables=tables))
+        rows.append(("hashing", tables, recall(found), X.lsh_pairs(q, r, 1.0, tables).count(), took))
+    centroids = X.fit_cells(r)
+    indexed = cut(X.assign_cells(r, centroids), "workload-cells")
+    sizes = indexed.groupBy("cell").agg(F.count("*").alias("held"))
+    for probes in (1, 4, 8, X.choose_probes(indexed, centroids, k)):
+        found, took = timed(X.top_k_cells(q, indexed, centroids, k, probes))
+        scored = X.assign_cells(q, centroids, probes).join(sizes, "cell").agg(F.sum("held").alias("n")).first()["n"]
+        rows.append(("cells", probes, recall(found), scored, took))
+    return spark.createDataFrame(rows, "index string, size int, recall double, rows_scored long, seconds double")
 
 
 def run_scarcity(spark, sf_dir, cfg: Workload = Workload()) -> DataFrame:
@@ -538,11 +561,20 @@ query("w09_calibrated_recall")(lambda s, d: run_calibrated_recall(s, d))
 query("w09_calibrated_recall_language")(lambda s, d: run_calibrated_recall(s, d, "language", absent=("type", "mktsegment")))
 query("w09_calibrated_recall_string")(lambda s, d: run_calibrated_recall(s, d, "string", absent=("props", "brand")))
 query("w10_lookalike_flags")(lambda s, d: run_lookalike_flags(s, d))
+query("w10_lookalike_words")(lambda s, d: run_lookalike_flags(s, d, kind="language"))
 query("w11_example_lookup")(lambda s, d: run_example_lookup(s, d))
 query("w12_schema_matching")(lambda s, d: run_schema_matching(s, d))
 query("w13_union_search")(lambda s, d: run_union_search(s, d))
-query("w14_repository_summary")(lambda s, d: run_repository_summary(s, d))
-query("w15_deviation")(lambda s, d: run_deviation(s, d))
+_SIZES = " UNION ALL ".join(f"SELECT '{k}' AS kind, * FROM ({sizes_sql(f)})" for k, f in _FAMILIES.items())
+query(
+    "w14_repository_summary",
+    f"WITH t AS (SELECT *, {role_sql(Workload().heldout, Workload().seed)} AS role FROM ({_SIZES})), m AS (SELECT kind, role, sum(n * (n - 1) / 2)::BIGINT AS matches FROM (SELECT kind, role, variable, count(*) AS n FROM t GROUP BY ALL) GROUP BY ALL) SELECT kind, role, count(DISTINCT table_id) AS tables, count(*) AS datasets, round(avg(n_values), 2) AS mean_n, round(coalesce(stddev_samp(n_values), 0), 2) AS sd_n, any_value(matches) AS matches FROM t JOIN m USING (kind, role) GROUP BY kind, role",
+)(lambda s, d: run_repository_summary(s, d))
+_DRAWN = priority_sql("draw::VARCHAR", "id", "k")
+query(
+    "w15_deviation",
+    f"WITH e AS (SELECT label::VARCHAR AS id, vec_id::VARCHAR AS k, embedding::DOUBLE[] AS e FROM embeddings), b AS (SELECT max(list_sum(list_transform(e, lambda x: x * x))) AS b FROM e), x AS (SELECT id, k, unnest(range(0, len(e))) AS i, unnest(e) AS x FROM e), o AS (SELECT draw, id, k, row_number() OVER (PARTITION BY draw, id ORDER BY {_DRAWN}, k) AS r FROM e, range(1, 41) t(draw)), ns AS (SELECT unnest([10, 20, 40]) AS n), s AS (SELECT n, draw, id, i, avg(x) AS m FROM o JOIN x USING (id, k), ns WHERE r <= n GROUP BY ALL), w AS (SELECT id, i, avg(x) AS m FROM x GROUP BY ALL), dn AS (SELECT n, a.draw, a.id AS id_a, b.id AS id_b, sum(pow(a.m - b.m, 2)) AS d_n FROM s a JOIN s b USING (n, draw, i) WHERE a.id < b.id GROUP BY ALL), d AS (SELECT a.id AS id_a, b.id AS id_b, sum(pow(a.m - b.m, 2)) AS d FROM w a JOIN w b USING (i) WHERE a.id < b.id GROUP BY ALL) SELECT n::INTEGER AS n, 0.2::DOUBLE AS eps, round(avg((abs(d_n - d) > 0.2)::INTEGER), 6) AS rate, round(least(1.0, 4 * exp(-n * 0.2::DOUBLE * 0.2::DOUBLE / (32 * any_value(b) * any_value(b)))), 6) AS bound, count(*) AS draws FROM dn JOIN d USING (id_a, id_b), b GROUP BY n",
+)(lambda s, d: run_deviation(s, d).withColumns({"rate": F.round("rate", 6), "bound": F.round("bound", 6)}))
 query("w16_objectives")(lambda s, d: run_objectives(s, d))
 query("w17_search_cost")(lambda s, d: run_search_cost(s, d))
 query("w18_scarcity")(lambda s, d: run_scarcity(s, d))

@@ -49,7 +49,7 @@ def mean_of_state(df: DataFrame) -> DataFrame:
 def stream_drift(events: DataFrame, stored: DataFrame, size: str = "2 days", slide: str = "1 day", delay: str | None = None) -> DataFrame:
     """Root distance of each sliding window's mean features to the stored vector of its dataset (``dataset_id, h0``)."""
     now = mean_of_state(stream_states(events, size, delay, slide=slide))
-    return now.join(F.broadcast(stored), "dataset_id").select("dataset_id", "start", "n", F.sqrt(sq_dist(F.col("h"), F.col("h0"))).alias("drift"))
+    return now.join(stored, "dataset_id").select("dataset_id", "start", "n", F.sqrt(sq_dist(F.col("h"), F.col("h0"))).alias("drift"))
 
 
 def stream_sessions(events: DataFrame, gap: str = "30 minutes", delay: str | None = None) -> DataFrame:
@@ -65,8 +65,12 @@ def dedup(events: DataFrame, delay: str = "1 hour", key: str = "event_id", ts: s
     return watermarked(events, delay, ts).dropDuplicatesWithinWatermark([key]) if events.isStreaming else events.dropDuplicates([key])
 
 
-def stream_match(states: DataFrame, repository: DataFrame, tau: float = 0.5) -> DataFrame:
-    """New states against a slice of the repository (``dataset_id, h, g``), small enough to join statically."""
+def stream_match(states: DataFrame, repository: DataFrame, tau: float = 0.5, max_rows: int = 100_000) -> DataFrame:
+    """New states against a slice of the repository (``dataset_id, h, g``) that is sent to all tasks: at most ``max_rows``
+    datasets, which is checked; a larger one is matched cell by cell (``search.assign_cells``)."""
+    n = repository.limit(max_rows + 1).count()
+    if n > max_rows:
+        raise ValueError(f"more than {max_rows} datasets to match: pass one cell of the repository at a time")
     r = repository.select(F.col("dataset_id").alias("match_id"), F.col("h").alias("rh"), F.col("g").alias("rg"))
     scored = mean_of_state(states).join(F.broadcast(r), F.lit(True)).withColumn("p", F.exp(-(sq_dist(F.col("h"), F.col("rh")) + F.col("rg"))))
     return scored.filter(F.col("p") >= tau).select("dataset_id", "start", "match_id", "p")
