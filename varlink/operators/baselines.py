@@ -301,6 +301,17 @@ def vector_moments(vectors: DataFrame, value: str = "vec", weight: Column | None
     return whole.select("dataset_id", split("s").alias("m")).select("dataset_id", "m.*")
 
 
+def text_moments(packed: DataFrame, encode) -> DataFrame:
+    """:func:`vector_moments` of packed texts: each distinct text of a dataset is encoded once, whatever its pairs."""
+
+    @F.pandas_udf("array<double>")
+    def run(values: pd.Series) -> pd.Series:
+        return values.map(lambda v: np.asarray(encode(v), float).tolist())
+
+    texts = packed.select("dataset_id", F.explode("values").alias("value")).groupBy("dataset_id", "value").agg(F.count("*").alias("weight"))
+    return vector_moments(texts.select("dataset_id", run("value").alias("vec"), "weight"), weight=F.col("weight"))
+
+
 def hotelling_of_moments(moments: DataFrame, pairs: DataFrame, ridge: float = 1e-6, output: str = "p") -> DataFrame:
     """The full-covariance test of every pair, from :func:`vector_moments`: no dataset is sampled."""
 

@@ -76,11 +76,11 @@ def two_opt_alignment(spark, sf_dir):
     return total("two_opt", "two_opt").join(total("greedy", "greedy"), "group_id")
 
 
-@query("q41_union_topk", _prob_sql(", bc AS (SELECT ta, tb, col_a, max(p) AS p FROM pr WHERE ta <> tb GROUP BY ALL), sc AS (SELECT ta, tb, round(avg(p), 5) AS score FROM bc GROUP BY ALL), rk AS (SELECT *, row_number() OVER (PARTITION BY ta ORDER BY score DESC, tb) AS rank FROM sc) SELECT ta AS query_table, tb AS table_id, rank::INTEGER AS rank, score FROM rk WHERE rank <= 5"))
+@query("q41_union_topk", _prob_sql(", bc AS (SELECT ta, tb, col_a, max(p) AS p FROM pr WHERE ta <> tb GROUP BY ALL), sc AS (SELECT ta, tb, round(avg(p), 9) AS score FROM bc GROUP BY ALL), rk AS (SELECT *, row_number() OVER (PARTITION BY ta ORDER BY score DESC, tb) AS rank FROM sc) SELECT ta AS query_table, tb AS table_id, rank::INTEGER AS rank, score FROM rk WHERE rank <= 5"))
 def union_ranking(spark, sf_dir):
     """Tables ranked by the mean of the best probability of the query's columns."""
     best = column_probabilities(spark, sf_dir).groupBy("ta", "tb", "col_a").agg(F.max("p").alias("p"))
-    score = best.groupBy("ta", "tb").agg(F.round(F.avg("p"), 5).alias("score"))
+    score = best.groupBy("ta", "tb").agg(F.round(F.avg("p"), 9).alias("score"))
     order = Window.partitionBy("ta").orderBy(F.desc("score"), "tb")
     return score.withColumn("rank", F.row_number().over(order)).filter("rank <= 5").select(F.col("ta").alias("query_table"), F.col("tb").alias("table_id"), F.col("rank").cast("int").alias("rank"), "score")
 

@@ -177,7 +177,7 @@ def baseline_scores(cv: DataFrame, pairs: DataFrame, kind: str, cfg: Workload) -
         parts = [B.mean_sd_packed(packed, pairs), B.ks_packed(packed, pairs), B.mmd_linear(packed, pairs), B.smooth_cf_distance(packed, pairs)]
     else:
         encode = WordEncoder(None, cfg.word_width)
-        parts = [B.jaccard_packed(packed, pairs), B.mean_word_vector_distance(packed, pairs, encode.one), B.hotelling_distance(packed, pairs, encode.one)]
+        parts = [B.jaccard_packed(packed, pairs), B.mean_word_vector_distance(packed, pairs, encode.one), B.hotelling_of_moments(cut(B.text_moments(packed, encode.one), "workload-moments"), pairs)]
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
