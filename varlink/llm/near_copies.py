@@ -16,6 +16,9 @@ give out only the pairs that their profiles allow. Before whole sets are fetched
 of a set counted in 256 classes of the hash. What two profiles differ by is the least that the sets can differ by, so no
 similar pair is lost.
 
+The stage also links the fingerprints of operator 7, by its segment variants (:mod:`.simhash`), and its groups are the
+components over the links of both kinds: a similarity says nothing of shingles that repeat, nor a majority of bits of few edits.
+
 A row is told by its ``doc_id`` and a hash of its text. Texts are read for the index, again for the sets of the remaining
 candidates, and for the output; none of them is shuffled while the lists of rows to fetch or drop can be broadcast.
 
@@ -34,6 +37,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from . import simhash
 from .common import byte_slices, cut, drop_cut, fresh
 from .simhash import components
 
@@ -118,16 +122,21 @@ _HASHES = T.StructField("hashes", T.ArrayType(T.LongType()))
 _NODE = T.StructField("node", T.LongType())
 
 
-def index_sets(docs: DataFrame) -> DataFrame:
-    """``doc_id, tid, node, n, profile, keys``: each document's text id, and its set's name, size, profile and band keys."""
+def index_sets(docs: DataFrame, prints: bool = False) -> DataFrame:
+    """``doc_id, tid, node, n, profile, keys``: each document's text id, and its set's name, size, profile and band keys;
+    with ``prints`` also the text's fingerprint ``fp``."""
 
     def kernel(texts: list) -> list[list]:
         sets = [shingle_set(t) for t in texts]
-        return [[set_name(s) for s in sets], [len(s) for s in sets], [profile(s) for s in sets], [band_keys(s) for s in sets]]
+        own = simhash.kernel(texts) if prints else []
+        return [[set_name(s) for s in sets], [len(s) for s in sets], [profile(s) for s in sets], [band_keys(s) for s in sets], *own]
 
     fields = [_NODE, T.StructField("n", T.IntegerType()), T.StructField("profile", T.BinaryType()), T.StructField("keys", T.ArrayType(T.LongType()))]
+    kinds = [pa.int64(), pa.int32(), pa.binary(), pa.list_(pa.int64())]
+    if prints:
+        fields, kinds = [*fields, T.StructField("fp", T.LongType())], [*kinds, pa.int64()]
     rows = docs.select("doc_id", text_id().alias("tid"), "text")
-    return _map_sets(rows, fields, [pa.int64(), pa.int32(), pa.binary(), pa.list_(pa.int64())], kernel, ["doc_id", "tid"])
+    return _map_sets(rows, fields, kinds, kernel, ["doc_id", "tid"])
 
 
 def one_row_each(index: DataFrame) -> DataFrame:
@@ -270,10 +279,22 @@ def find_links(docs: DataFrame, sets: DataFrame, bucket_limit: int = BUCKET_LIMI
     return links
 
 
-def group_rows(docs: DataFrame, bucket_limit: int = BUCKET_LIMIT, percent: int = PERCENT) -> DataFrame:
+def print_links(index: DataFrame) -> DataFrame:
+    """Links ``a < b`` between sets (``node, fp`` of :func:`index_sets`) that connect all whose texts have linked
+    fingerprints: a star for each component of fingerprints."""
+    told = cut(index.select("node", "fp").distinct(), "similar-prints")
+    roots = cut(components(simhash.find_links(told.select("fp").distinct())), "similar-print-roots").withColumnRenamed("node", "of")
+    rooted = told.join(checked(roots), F.col("fp") == F.col("of"), "left").select("node", F.coalesce("root", "fp").alias("print"))
+    heads = cut(rooted.groupBy("print").agg(F.min("node").alias("a"), F.max("node").alias("z")).filter("a < z").select("print", "a"), "similar-print-heads")
+    return rooted.join(checked(heads), "print").filter("a < node").select("a", F.col("node").alias("b")).distinct()
+
+
+def group_rows(docs: DataFrame, bucket_limit: int = BUCKET_LIMIT, percent: int = PERCENT, prints: bool = False) -> DataFrame:
     """``doc_id, tid, node, root``: a row for each row of ``docs``, with its set and the name of its component."""
-    index = cut(index_sets(docs).withColumn("tag", F.monotonically_increasing_id()), "similar-marked")
+    index = cut(index_sets(docs, prints).withColumn("tag", F.monotonically_increasing_id()), "similar-marked")
     links = find_links(docs, one_row_each(index), bucket_limit, percent)
+    if prints:
+        links = links.unionByName(print_links(index)).distinct()
     roots = cut(components(links), "similar-components").withColumnRenamed("node", "of")
     grouped = cut(index.join(roots, F.col("node") == F.col("of"), "left").select("doc_id", "tid", "node", F.coalesce("root", "node").alias("root")), "similar-rows")
     drop_cut(index)
@@ -290,14 +311,14 @@ def group_similar(docs: DataFrame, bucket_limit: int = BUCKET_LIMIT, percent: in
     return docs.join(named, F.col("doc_id").eqNullSafe(F.col(own)) & (text_id() == F.col(own_tid))).drop(own, own_tid), name, comp
 
 
-def drop_similar(docs: DataFrame, bucket_limit: int = BUCKET_LIMIT, percent: int = PERCENT) -> DataFrame:
-    """One row of every component: the one with the smallest ``doc_id``.
+def drop_similar(docs: DataFrame, bucket_limit: int = BUCKET_LIMIT, percent: int = PERCENT, prints: bool = False) -> DataFrame:
+    """One row of every component: the one with the smallest ``doc_id``. With ``prints`` fingerprints link as well.
 
     Of rows that repeat this ``doc_id`` one stays. Rows without ``doc_id`` stay only where no row of their component has
     one, and then one of them.
     """
     own, own_tid = fresh(docs, "own", "own_tid")
-    grouped = group_rows(docs, bucket_limit, percent)
+    grouped = group_rows(docs, bucket_limit, percent, prints)
     row = F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "tid")
     first = grouped.groupBy("root").agg(F.min(row).alias("kept"), F.count("*").alias("held")).filter("held > 1")
     several = grouped.join(checked(cut(first, "similar-first")), "root").select("doc_id", "tid", (row == F.col("kept")).alias("stays"))

@@ -52,13 +52,13 @@ def _signed(x: int) -> int:
     return x - (1 << 64) if x >> 63 else x
 
 
-def _kernel(texts: list) -> list[list]:
+def kernel(texts: list) -> list[list]:
     return [[_signed(fingerprint(t)) for t in texts]]
 
 
 def add_fingerprints(docs: DataFrame, name: str, keep: list[str] | None = None) -> DataFrame:
     """``docs`` with the fingerprint as a signed 64-bit number in column ``name``."""
-    return map_texts(docs, "text", [T.StructField(name, T.LongType())], _kernel, keep)
+    return map_texts(docs, "text", [T.StructField(name, T.LongType())], kernel, keep)
 
 
 # ---------------------------------------------------------------------- links
